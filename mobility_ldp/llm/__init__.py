@@ -1,0 +1,11 @@
+"""Training-data operators. Nothing else in the library imports this subpackage.
+
+The worker-side functions are pickled by value, so executors need the public
+libraries only and not this package on their path.
+"""
+
+import sys
+
+from pyspark import cloudpickle
+
+cloudpickle.register_pickle_by_value(sys.modules[__name__])
