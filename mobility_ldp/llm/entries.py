@@ -1,11 +1,11 @@
 """The queries of this subpackage, and the SQL that checks them."""
 
-from . import line_dedup, packing
+from . import decontaminate, line_dedup, packing
 
 
 def queries():
-    return {"op7_line_dedup": line_dedup.op7, "op8_packing": packing.op8}
+    return {"op1_decontaminate": decontaminate.op1, "op7_line_dedup": line_dedup.op7, "op8_packing": packing.op8}
 
 
 def oracle_sql():
-    return {"op7_line_dedup": line_dedup.SQL}
+    return {"op1_decontaminate": decontaminate.SQL, "op7_line_dedup": line_dedup.SQL}
