@@ -91,7 +91,8 @@ def contamination(docs: DataFrame, bench: DataFrame, text_col: str = "text", ben
     if size["short"]:
         marks = F.concat(marks, F.transform("ws", lambda x, i: _packed(F.col("ws"), i, 1)))
     ws = ws.select("row__", "own__", "ws", F.concat(F.array(F.lit(None).cast("long")), marks).alias("marks"))
-    rows = ws.select("row__", "own__", "ws", F.explode("marks").alias("x"))
+    # outer, though no list is empty: else the optimiser tests each list's size by computing it once more
+    rows = ws.select("row__", "own__", "ws", F.explode_outer("marks").alias("x"))
     rows = rows.select("row__", "own__", "ws", F.col("x").bitwiseAND(F.lit((1 << PLACE) - 1)).cast("int").alias("p"), F.shiftright("x", PLACE).alias("fp"))
     if (size["b"] or 0) <= BROADCAST_BYTES:
         prints = F.broadcast(prints)
@@ -110,7 +111,8 @@ def contamination(docs: DataFrame, bench: DataFrame, text_col: str = "text", ben
         "items",
     )
     ok = F.col("e") - F.col("s") >= F.col("need")
-    out = found.where(F.col("n").isNotNull() | ok).groupBy("row__").agg(
+    # no filter on ok: it would run outside generated code, and each fingerprint would copy the words
+    out = found.groupBy("row__").agg(
         F.max("own__").alias("own__"),
         F.coalesce(F.max("n"), F.lit(0)).cast("long").alias("n_words"),
         F.array_sort(F.collect_set(F.when(ok, F.struct("s", "e")))).alias("spans"),
