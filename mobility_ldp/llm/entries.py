@@ -1,10 +1,10 @@
 """The queries of this subpackage, and the SQL that checks them."""
 
-from . import decontaminate, line_dedup, near_dedup, packing
+from . import decontaminate, langid, line_dedup, near_dedup, packing
 
 
 def queries():
-    return {"op1_decontaminate": decontaminate.op1, "op2_minhash": near_dedup.op2, "op7_line_dedup": line_dedup.op7, "op8_packing": packing.op8}
+    return {"op1_decontaminate": decontaminate.op1, "op2_minhash": near_dedup.op2, "op7_line_dedup": line_dedup.op7, "op8_packing": packing.op8, "op10_language": langid.op10}
 
 
 def oracle_sql():
