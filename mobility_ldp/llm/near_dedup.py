@@ -247,7 +247,8 @@ def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: in
         many = pairs.groupBy("pivot").agg((F.count("*") > (1 if level < levels else F.lit(1 << 62))).alias("more"))
         psets = sets.select(F.col("key").alias("pivot"), F.col("sh").alias("psh")).join(many, "pivot")
         both = pairs.join(sets, "key").join(psets, "pivot").select("key", "sh", "pivot", "psh", "more")
-        tried, _ = shared.put(both.mapInArrow(_verify(threshold), "key long, pivot long, linked boolean, delta array<long>"), "tried")
+        tried, at = shared.put(both.mapInArrow(_verify(threshold), "key long, pivot long, linked boolean, delta array<long>"), "tried")
+        paths.append(at)
         good = tried.where("linked").select(F.col("key").alias("a"), F.col("pivot").alias("b"))
         found = good if found is None else found.unionByName(good)
         if level == levels:
