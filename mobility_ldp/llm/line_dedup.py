@@ -84,7 +84,7 @@ def _counts(min_chars):
 
 def line_counts(docs: DataFrame, text_col: str = "text", min_chars: int = 1) -> DataFrame:
     """Rows (h1, h2, n): in how many documents each line key is found."""
-    found = docs.select(F.col(text_col).alias("t")).mapInArrow(_counts(min_chars), "h1 long, h2 long, n long")
+    found = docs.select(F.col(text_col).alias("t")).mapInArrow(textops.tidy(_counts(min_chars)), "h1 long, h2 long, n long")
     return found.groupBy("h1", "h2").agg(F.sum("n").alias("n"))
 
 
@@ -231,7 +231,7 @@ def drop_common_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 1
         kinds = [f.dataType for f in docs.schema.fields]
         fields = [T.StructField(n, t, True) for n, t in zip(names, kinds, strict=True)]
         fields += [T.StructField("kept", T.StringType()), T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())] if last else [T.StructField("drop", T.BinaryType())]
-        now = now.mapInArrow(_probe(sent, shards, min_docs, min_chars, docs.columns.index(text_col), len(names) if has_drop else None, last, names), T.StructType(fields))
+        now = now.mapInArrow(textops.tidy(_probe(sent, shards, min_docs, min_chars, docs.columns.index(text_col), len(names) if has_drop else None, last, names)), T.StructType(fields))
         if not last:
             now, p = shared.put(now, "line-flags")
             written.append(p)

@@ -239,7 +239,7 @@ def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: in
     wanted, at = shared.put(keys.join(ends, "key", "left_semi").select("row_key"), "wanted")
     paths.append(at)
     chosen = wanted_rows(texts, wanted, "row_key", "left_semi").select("text")
-    sets, at = shared.put(chosen.mapInArrow(_sets(n), "key long, sh array<long>").dropDuplicates(["key"]), "sets")
+    sets, at = shared.put(chosen.mapInArrow(textops.tidy(_sets(n)), "key long, sh array<long>").dropDuplicates(["key"]), "sets")
     paths.append(at)
     found = None
     for level in range(levels + 1):
@@ -247,7 +247,7 @@ def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: in
         many = pairs.groupBy("pivot").agg((F.count("*") > (1 if level < levels else F.lit(1 << 62))).alias("more"))
         psets = sets.select(F.col("key").alias("pivot"), F.col("sh").alias("psh")).join(many, "pivot")
         both = pairs.join(sets, "key").join(psets, "pivot").select("key", "sh", "pivot", "psh", "more")
-        tried, at = shared.put(both.mapInArrow(_verify(threshold), "key long, pivot long, linked boolean, delta array<long>"), "tried")
+        tried, at = shared.put(both.mapInArrow(textops.tidy(_verify(threshold)), "key long, pivot long, linked boolean, delta array<long>"), "tried")
         paths.append(at)
         good = tried.where("linked").select(F.col("key").alias("a"), F.col("pivot").alias("b"))
         found = good if found is None else found.unionByName(good)
@@ -276,7 +276,7 @@ def classes(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", thr
     spark = docs.sparkSession
     texts = _key(docs, text_col, id_col)
     kind = docs.schema[id_col].dataType.simpleString()
-    signed = texts.mapInArrow(_signed(2, n, bands, rows, ["id", "row_key", "key", "bands"]), f"id {kind}, row_key long, key long, bands array<long>")
+    signed = texts.mapInArrow(textops.tidy(_signed(2, n, bands, rows, ["id", "row_key", "key", "bands"])), f"id {kind}, row_key long, key long, bands array<long>")
     signed, at = shared.put(signed, "signed")
     own = signed.where(F.col("key").isNotNull())
     keys = own.groupBy("key").agg(F.min(F.struct("id", "row_key")).alias("x"), F.min("bands").alias("bands"))

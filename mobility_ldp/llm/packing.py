@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import shared
+from . import shared, textops
 
 #: Longest run without white space, and of white space, that goes to the quick encoder.
 RUN = 1000
@@ -116,7 +116,7 @@ def pack(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte_bpe_50k
     names = [f"c{k}" for k in range(len(keep))] + new[:4]
     fields = [T.StructField(n, f.dataType) for n, f in zip(names, now.schema.fields[:-1], strict=False)]
     fields += [T.StructField(n, T.LongType()) for n in new[:3]] + [T.StructField("ids", T.BinaryType())]
-    out = now.mapInArrow(_pack(len(keep), tokenizer, end_id, max_len, names), T.StructType(fields)).toDF(*keep, *new[:4])
+    out = now.mapInArrow(textops.tidy(_pack(len(keep), tokenizer, end_id, max_len, names)), T.StructType(fields)).toDF(*keep, *new[:4])
     return out.withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long"), "bucket": F.log2(F.col("length")).cast("int")})
 
 

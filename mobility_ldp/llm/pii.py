@@ -384,7 +384,7 @@ def scan(docs: DataFrame, text_col: str = "text", model=None) -> DataFrame:
     names = [f"c{k}" for k in range(len(keep))] + new
     fields = [T.StructField(n, f.dataType) for n, f in zip(names, now.schema.fields[:-1], strict=False)]
     fields += [T.StructField(n, T.LongType()) for n in new[:4]] + [T.StructField(n, T.StringType()) for n in new[4:]]
-    return now.mapInArrow(_scan(model or fit(), len(keep), names), T.StructType(fields)).toDF(*keep, *new)
+    return now.mapInArrow(textops.tidy(_scan(model or fit(), len(keep), names)), T.StructType(fields)).toDF(*keep, *new)
 
 
 def op9(spark, sf_dir: str) -> DataFrame:
