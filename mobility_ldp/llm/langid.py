@@ -99,8 +99,9 @@ def _vectors(batches):
 
 def svm(x: np.ndarray, y: np.ndarray, rounds: int = 300, penalty: float = 1e-5) -> tuple[np.ndarray, float]:
     """Weights and bias of a linear machine with squared hinge loss, y in {-1, 1}; both classes weigh alike."""
-    w, b = np.zeros(x.shape[1]), 0.0
-    weight = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum()))
+    w, b = np.zeros(x.shape[1], x.dtype), x.dtype.type(0)
+    y = y.astype(x.dtype)
+    weight = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum())).astype(x.dtype)
     m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
     for t in range(1, rounds + 1):
         slack = np.maximum(0, 1 - y * (x @ w + b))
@@ -108,7 +109,7 @@ def svm(x: np.ndarray, y: np.ndarray, rounds: int = 300, penalty: float = 1e-5)
         g = np.append(x.T @ pull + penalty * w, pull.sum())
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         step = 0.3 * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-9) * min(1, 2 - 2 * t / (rounds + 1))
-        w, b = w - step[:-1], b - step[-1]
+        w, b = w - step[:-1].astype(x.dtype), b - x.dtype.type(step[-1])
     return w, float(b)
 
 
@@ -116,11 +117,15 @@ class Model:
     """Families, languages and machines."""
 
     def __init__(self, x: np.ndarray, langs: list[str]):
+        """x (32-bit rows of averaged features) is overwritten, so that one copy of it is held."""
         self.langs = sorted(set(langs))
         self.families = sorted({family(v) for v in self.langs})
         self.mean = x.mean(0) if len(x) else np.zeros(DIM)
         self.scale = 1 / (x.std(0) + 1e-4) if len(x) else np.ones(DIM)
-        z = (x - self.mean) * self.scale / np.sqrt(DIM)
+        self.mean, self.scale = self.mean.astype(np.float32), self.scale.astype(np.float32)
+        z = x
+        z -= self.mean
+        z *= self.scale / np.float32(np.sqrt(DIM))
         y = np.array(langs)
         of = np.array([family(v) for v in langs])
         self.machines = []  # (kind, a, b, weights on raw averages, bias)
@@ -138,7 +143,7 @@ class Model:
 
     def _add(self, kind, a, b, z, y):
         w, bias = svm(z, y)
-        raw = w * self.scale / np.sqrt(DIM)
+        raw = w.astype(np.float64) * self.scale / np.sqrt(DIM)
         self.machines.append((kind, a, b, raw, bias - float(self.mean @ raw)))
 
     def predict(self, data, offsets):
@@ -180,16 +185,19 @@ def fit(labelled: DataFrame, text_col: str, lang_col: str, id_col: str, sample_r
     rows = labelled.where(F.col(lang_col).isNotNull())
     per = {r[0]: r[1] for r in rows.groupBy(lang_col).count().collect()}
     if not per:
-        return Model(np.zeros((0, DIM)), [])
+        return Model(np.zeros((0, DIM), np.float32), [])
     each = max(1, sample_rows // len(per))
     share = F.lit(0.0)
     for lang, n in per.items():
         share = F.when(F.col(lang_col) == lang, min(1.0, 0.9 * each / n if n > each else 1.0)).otherwise(share)
     chance = F.pmod(F.xxhash64(F.lit("sample"), F.col(id_col)), F.lit(1 << 30)) / float(1 << 30)
-    chosen = rows.where(chance < share).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text")).mapInArrow(_vectors, "lang string, x binary")
+    chosen = rows.where(chance < share).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text")).mapInArrow(textops.tidy(_vectors), "lang string, x binary")
     found = chosen.limit(2 * sample_rows).collect()
-    x = np.array([np.frombuffer(r["x"], np.float32) for r in found], np.float64).reshape(-1, DIM)
-    return Model(x, [r["lang"] for r in found])
+    langs, x = [r["lang"] for r in found], np.empty((len(found), DIM), np.float32)
+    for k, r in enumerate(found):
+        x[k] = np.frombuffer(r["x"], np.float32)
+    del found
+    return Model(x, langs)
 
 
 def _predict(sent, text_at, names):
@@ -217,7 +225,7 @@ def identify(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame
     names = [f"c{k}" for k in range(len(docs.columns))]
     fields = [T.StructField(n, f.dataType) for n, f in zip(names, docs.schema.fields, strict=True)] + [T.StructField("p", T.StringType()), T.StructField("s", T.DoubleType())]
     sent = docs.sparkSession.sparkContext.broadcast(model)
-    out = docs.toDF(*names).mapInArrow(_predict(sent, docs.columns.index(text_col), [*names, "p", "s"]), T.StructType(fields))
+    out = docs.toDF(*names).mapInArrow(textops.tidy(_predict(sent, docs.columns.index(text_col), [*names, "p", "s"])), T.StructType(fields))
     pred = shared.spare(docs, "lang_pred")
     return out.toDF(*docs.columns, pred, shared.spare(docs, "score"))
 
