@@ -182,8 +182,8 @@ register("oue_norm_sub", lambda spark, sf: oue.settle(oue.estimate(oue.count(len
 g AS (SELECT *, row_number() OVER w AS k, sum(est) OVER (ORDER BY est DESC, item ROWS UNBOUNDED PRECEDING) AS s FROM e WINDOW w AS (ORDER BY est DESC, item)),
 h AS (SELECT max_by((s - n) / k, k) AS d FROM g WHERE est - (s - n) / k > 0)
 SELECT item, round(greatest(est - d, 0.0), 6) AS clipped FROM e, h""")
-register("length_model", lambda spark, sf: models.length_model(length_estimates(spark, sf)).select("len", r6("p").alias("p"), r6("cum").alias("cum")), ctes("customer_walk", 3) + LEN_COUNTS + ", m AS (SELECT item + 1 AS len, greatest(est, 0.0) / sum(greatest(est, 0.0)) OVER () AS p FROM e) SELECT CAST(len AS INTEGER) AS len, round(p, 6) AS p, round(sum(p) OVER (ORDER BY len ROWS UNBOUNDED PRECEDING), 6) AS cum FROM m")
-register("length_quantile", lambda spark, sf: models.length_quantile(models.length_model(length_estimates(spark, sf))), ctes("customer_walk", 3) + LEN_COUNTS + ", m AS (SELECT item + 1 AS len, greatest(est, 0.0) / sum(greatest(est, 0.0)) OVER () AS p FROM e), q AS (SELECT len, sum(p) OVER (ORDER BY len ROWS UNBOUNDED PRECEDING) AS cum FROM m) SELECT CAST(min(len) AS INTEGER) AS l_k FROM q WHERE cum >= 0.9 - 1e-12")
+register("length_model", lambda spark, sf: models.length_model(length_estimates(spark, sf)).select("len", r6("p").alias("p"), r6("cum").alias("cum")), ctes("customer_walk", 3) + LEN_COUNTS + ", lm AS (SELECT item + 1 AS len, greatest(est, 0.0) / sum(greatest(est, 0.0)) OVER () AS p FROM e) SELECT CAST(len AS INTEGER) AS len, round(p, 6) AS p, round(sum(p) OVER (ORDER BY len ROWS UNBOUNDED PRECEDING), 6) AS cum FROM lm")
+register("length_quantile", lambda spark, sf: models.length_quantile(models.length_model(length_estimates(spark, sf))), ctes("customer_walk", 3) + LEN_COUNTS + ", lm AS (SELECT item + 1 AS len, greatest(est, 0.0) / sum(greatest(est, 0.0)) OVER () AS p FROM e), q AS (SELECT len, sum(p) OVER (ORDER BY len ROWS UNBOUNDED PRECEDING) AS cum FROM lm) SELECT CAST(min(len) AS INTEGER) AS l_k FROM q WHERE cum >= 0.9 - 1e-12")
 
 L_K, EPS_MOVE, EPS_END = 4, 1.0, 1.0
 
@@ -276,9 +276,9 @@ def ratio_variances(spark, sf):
     return errors.transition_noise(f, 1000, 2.0, 4).select("src", "dst", r6("noise").alias("noise"))
 
 
-V05 = oue.variance(1.0, 0.5)
+V05 = f"CAST({oue.variance(1.0, 0.5)!r} AS DOUBLE)"
 FREQ = MOVES + ", w AS (SELECT src, dst, count(*)::DOUBLE AS f FROM v WHERE dst IS NOT NULL GROUP BY 1, 2), y AS (SELECT *, sum(f) OVER (PARTITION BY src) AS fy, count(*) OVER (PARTITION BY src) AS m FROM w)"
-register("ratio_variance", ratio_variances, ctes() + FREQ + f" SELECT src, dst, round((f * f) / (fy * fy) * ({V05!r} * 1000 / (f * f) - 2 * ({V05!r} * 1000) / (f * fy) + m * ({V05!r} * 1000) / (fy * fy)), 6) AS noise FROM y")
+register("ratio_variance", ratio_variances, ctes() + FREQ + f" SELECT src, dst, round((f * f) / (fy * fy) * ({V05} * 1000 / (f * f) - 2 * ({V05} * 1000) / (f * fy) + m * ({V05} * 1000) / (fy * fy)), 6) AS noise FROM y")
 
 
 def length_errors(spark, sf):
@@ -288,10 +288,10 @@ def length_errors(spark, sf):
     return one(8).unionByName(one("derived"))
 
 
-LEN_ERR = ", f AS (SELECT c AS len, count(*)::DOUBLE AS f FROM (SELECT count(*) AS c FROM t GROUP BY traj_id) GROUP BY 1), z AS (SELECT sum(f) AS n, count(*) AS d FROM f)"
+LEN_ERR = ", lf AS (SELECT c AS len, count(*)::DOUBLE AS f FROM (SELECT count(*) AS c FROM t GROUP BY traj_id) GROUP BY 1), z AS (SELECT sum(f) AS n, count(*) AS d FROM lf)"
 _s2 = f"(n * {oue.variance(1.0, 1.0)!r})"
 _le = lambda last: f"sum((f / n) * (f / n) * ({_s2} / (f * f) - 2 * {_s2} / (f * n) + {last} * {_s2} / (n * n)))"
-register("length_error_analytic", length_errors, ctes() + LEN_ERR + f" SELECT '8' AS form, round({_le('8')}, 6) AS error FROM f, z UNION ALL SELECT 'derived', round({_le('d')}, 6) FROM f, z")
+register("length_error_analytic", length_errors, ctes() + LEN_ERR + f" SELECT '8' AS form, round({_le('8')}, 6) AS error FROM lf, z UNION ALL SELECT 'derived', round({_le('d')}, 6) FROM lf, z")
 KS = (0.5, 0.6, 0.7, 0.8, 0.9, 1.0)
 
 
@@ -302,7 +302,7 @@ def error_curve(spark, sf):
     return errors.transition_error_curve(f, lens, 1000000, 50.0, list(KS))
 
 
-CURVE = FREQ + LEN_ERR.replace(", f AS", ", lf AS").replace("FROM f)", "FROM lf)") + f""",
+CURVE = FREQ + LEN_ERR + f""",
 lc AS (SELECT len, sum(f) OVER (ORDER BY len ROWS UNBOUNDED PRECEDING) / sum(f) OVER () AS c FROM lf),
 lk AS (SELECT k, min(len) AS l_k FROM (SELECT unnest([0.5, 0.6, 0.7, 0.8, 0.9, 1.0])::DOUBLE AS k), lc WHERE c >= k - 1e-12 GROUP BY k),
 vv AS (SELECT k, l_k, (1000000.0 * l_k) * 4 * exp(50.0 / l_k) / (exp(50.0 / l_k) - 1) / (exp(50.0 / l_k) - 1) AS u FROM lk),

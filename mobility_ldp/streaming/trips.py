@@ -37,7 +37,8 @@ def shared_dir(spark: SparkSession) -> str:
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream, with coordinates. ts is a TIMESTAMP: a watermark takes no other kind."""
-    raw = spark.readStream.schema(EVENTS).parquet(f"{sf_dir}/events.parquet")
+    # a pattern, as a stream takes a single file for no folder of its own
+    raw = spark.readStream.schema(EVENTS).parquet(f"{sf_dir}/event[s].parquet")
     return located(raw)
 
 
@@ -103,7 +104,11 @@ def paired(starts: DataFrame, ends: DataFrame, within: str = "1 hour", late: str
 
 
 def admitted(closed: DataFrame, cap: int = 3) -> DataFrame:
-    """A user's first cap sessions, whose reports add up to cap times eps at most (sequential composition). Works on a stream or a table of sessions."""
+    """A user's first cap sessions, whose reports add up to cap times eps at most (sequential composition).
+
+    closed is a table of sessions, or a stream of them: one that reads what the stream of sessions() has written,
+    since a stream cannot keep own state behind an aggregation.
+    """
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -122,13 +127,18 @@ def admitted(closed: DataFrame, cap: int = 3) -> DataFrame:
     return closed.select("user_id", "start").groupBy("user_id").applyInPandasWithState(step, "user_id bigint, start timestamp, spent int", "used int", "append", GroupStateTimeout.NoTimeout)
 
 
-def drain(df: DataFrame, name: str) -> DataFrame:
-    """Run a stream over all that is there, and read back what it has written."""
+def written(df: DataFrame, name: str) -> str:
+    """Run a stream over all that is there; the folder that it has written."""
     spark = df.sparkSession
     base = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     q = df.writeStream.format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/state").outputMode("append").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.schema(df.schema).parquet(f"{base}/out")
+    return f"{base}/out"
+
+
+def drain(df: DataFrame, name: str) -> DataFrame:
+    """Run a stream over all that is there, and read back what it has written."""
+    return df.sparkSession.read.schema(df.schema).parquet(written(df, name))
 
 
 def collect_reports(stream: DataFrame, g: Grid, eps: float, l_k: int, seed: int = 0, max_len: int | None = None) -> DataFrame:
@@ -196,7 +206,9 @@ PAIRS = "SELECT a.event_id AS start_id, b.event_id AS end_id, a.user_id AS user_
 
 
 def _ledger(spark, sf):
-    out = drain(admitted(sessions(events(spark, sf))), "ledger")
+    closed = sessions(events(spark, sf)).select("user_id", "start")
+    again = spark.readStream.schema(closed.schema).parquet(written(closed, "closed"))
+    out = drain(admitted(again), "ledger")
     return out.groupBy("user_id").agg(F.max("spent").cast("bigint").alias("spent"))
 
 
