@@ -21,7 +21,8 @@ from ..functions import rng
 
 
 def q_of(eps: float) -> float:
-    return 0.0 if math.isinf(eps) else 1.0 / (math.exp(eps) + 1.0)
+    # in falling powers, so that no budget overflows
+    return 0.0 if math.isinf(eps) else math.exp(-eps) / (1.0 + math.exp(-eps))
 
 
 def p_of(eps: float) -> float:
@@ -71,8 +72,8 @@ def variance(n: float, eps: float, f: float = 0.0, exact: bool = False) -> float
     """Variance of an estimate over n reports; exact adds the part that depends on the true count f."""
     if math.isinf(eps):
         return 0.0
-    e = math.exp(eps)
-    return n * 4 * e / (e - 1) ** 2 + (f if exact else 0.0)
+    e = math.exp(-eps)
+    return n * 4 * e / (1 - e) ** 2 + (f if exact else 0.0)
 
 
 def variance_col(n: Column, eps: Column) -> Column:
