@@ -322,16 +322,19 @@ SPELT = re.compile(
 )
 
 
-def plausible(text: str, kind: str) -> bool:
-    """What a span of the field needs besides its label."""
-    digits = [c for c in text if c in "0123456789"]
-    if kind == "email":
-        return bool(SPELT.fullmatch(text.strip()))
+#: Phone numbers without a plus: an area code, or a prefix of the country's own.
+LOCAL_PHONE = re.compile(r"(?:00[0-9]{1,3}[ .-]|1[ .-])?(?:\([0-9]{2,4}\) ?|[0-9]{2,4}[ .-])?[0-9]{3}[ .-][0-9]{4}(?![0-9])")
+CARD_LIKE = re.compile(r"[0-9](?:[ -]?[0-9]){12,18}(?![0-9])")
+
+
+def plausible(text: str, kind: str) -> tuple[int, int] | None:
+    """The part of a span of the field that has what its kind needs besides its label, if any."""
     if kind == "ip":
-        return bool(m := re.fullmatch(r"\d+\.\d+\.\d+\.\d+", text)) and all(len(x) <= 3 and int(x) <= 255 for x in m[0].split("."))
-    if kind == "card":
-        return 13 <= len(digits) <= 19 and luhn("".join(digits)) and not re.search(r"[A-Za-z]", text)
-    return 7 <= len(digits) <= 15 and not re.search(r"[A-Za-z@:/,]", text) and bool(re.search(r"[-. ()]", text)) and not re.fullmatch(r"[\d. ]+", text) or bool(re.fullmatch(r"(?:00\d{1,3}[ .])?\(?\d{3}\)?[ .]\d{3}[ .]\d{4}", text))
+        return None  # the base pattern has all of them
+    m = {"email": SPELT, "card": CARD_LIKE, "phone": LOCAL_PHONE}[kind].search(text)
+    if m is None or kind == "card" and not luhn(re.sub("[^0-9]", "", m[0])):
+        return None
+    return m.span()
 
 
 def find(text_column: pa.Array, model, ranges):
@@ -351,7 +354,10 @@ def find(text_column: pa.Array, model, ranges):
             for a, b, kind in extra.get(d, []):
                 s = len(raw[: a - at[d]].decode())
                 e = s + len(raw[a - at[d] : b - at[d]].decode())
-                if not any(s < y and x < e for x, y in taken) and plausible(text[s:e], kind):
+                if (part_of := plausible(text[s:e], kind)) is None:
+                    continue
+                s, e = s + part_of[0], s + part_of[1]
+                if not any(s < y and x < e for x, y in taken):
                     every[kind].append((s, e))
             yield base, {k: sorted(v) for k, v in every.items()}
 

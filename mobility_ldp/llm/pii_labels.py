@@ -66,11 +66,11 @@ All rights reserved. Copyright 2019 <w> <w>.
 """.strip().splitlines()
 
 #: Words put in for <w>.
-WORDS = "and then ouver reading tion la maison le Haus das für ciudad niño leaux éeau Thand Erat onesly schung ververkeit mentera osas at dot the x I call example com".split()
+WORDS = "and then ouver reading tion la maison le Haus das für ciudad niño leaux éeau Thand Erat onesly schung ververkeit mentera osas at dot the x I call example com write please contact phone number mein schreib bitte appelez escribe a in of thereading enheit Überall pour avec Nachricht".split()
 KINDS = ("email", "ip", "card", "phone")
 
 
-def labelled(copies: int = 6, seed: int = 7) -> list[tuple[str, list[tuple[int, int, str]]]]:
+def labelled(copies: int = 10, seed: int = 7) -> list[tuple[str, list[tuple[int, int, str]]]]:
     """(text, spans): each line several times, with other words and other digits."""
     import random
     import re

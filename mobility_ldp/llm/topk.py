@@ -43,7 +43,7 @@ def scores(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Inner products of the rows of a and b (whole numbers), as 64-bit integers."""
     if a.shape[1] == 0:
         return np.zeros((len(a), len(b)), np.int64)
-    top = np.abs(a).max(initial=0) * np.abs(b).max(initial=0) * a.shape[1]
+    top = float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * a.shape[1]  # may be infinite
     if top < 2.0**53:
         return (a @ b.T).astype(np.int64)
     exact = np.array([[int(x) for x in r] for r in a], object) @ np.array([[int(x) for x in r] for r in b], object).T
