@@ -113,7 +113,7 @@ def signatures(hashes, weights, bounds, m):
 
 
 def _signed(text_at, n, bands, rows, names):
-    """Adds key (a hash of the words; null without words) and a hash of each band; takes the text away."""
+    """Adds key (a hash of the words; null without words), size (distinct shingles) and a hash of each band; takes the text away."""
 
     def run(batches):
         ranges = textops.RangeHash(BASE)
@@ -128,7 +128,7 @@ def _signed(text_at, n, bands, rows, names):
                 for k in range(rows):
                     band = textops.mix(band * np.uint64(GOLDEN) + sig[:, :, k] + np.uint64(k + 1))
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (j - i + 1) * bands, bands), pa.int32()), pa.array(band.reshape(-1).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([*(c.slice(i, j - i) for c in cols), pa.array(whole.view(np.int64), mask=size == 0), lists], names)
+                yield pa.RecordBatch.from_arrays([*(c.slice(i, j - i) for c in cols), pa.array(whole.view(np.int64), mask=size == 0), pa.array(np.diff(b), pa.int64()), lists], names)
 
     return run
 
@@ -215,10 +215,23 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def _star(groups: DataFrame, by: list[str]) -> DataFrame:
-    """Pairs (key, pivot) of the members (id, key) of each group and its first member."""
-    ends = groups.groupBy(*by).agg(F.min(F.struct("id", "key")).alias("lo"), F.max(F.struct("id", "key")).alias("hi"))
-    first = ends.where(F.col("lo.key") != F.col("hi.key")).select(*by, F.col("lo.key").alias("pivot"))
-    return groups.join(first, by).where(F.col("key") != F.col("pivot")).select("key", "pivot").distinct()
+    """Pairs (key, size, pivot, psize) of the members (id, key, size) of each group and its first member."""
+    own = F.struct("id", "key", "size")
+    ends = groups.groupBy(*by).agg(F.min(own).alias("lo"), F.max(own).alias("hi"))
+    first = ends.where(F.col("lo.key") != F.col("hi.key")).select(*by, F.col("lo.key").alias("pivot"), F.col("lo.size").alias("psize"))
+    return groups.join(first, by).where(F.col("key") != F.col("pivot")).select("key", "size", "pivot", "psize").distinct()
+
+
+def _worth(pairs: DataFrame, threshold: float, last: bool) -> DataFrame:
+    """pairs (key, pivot, more): more marks pivots of more than one text, whose texts can be near to each other unseen.
+    A lone pair goes if the sizes alone rule out a link; so do all such pairs in the last round."""
+    many = pairs.groupBy("pivot").agg((F.count("*") > 1).alias("more")).where("more")
+    flagged = pairs if last else wanted_rows(pairs, many.select("pivot"), "pivot", "left_semi")
+    close = F.least("size", "psize") >= threshold * F.greatest("size", "psize")
+    if last:
+        return pairs.where(close).select("key", "pivot", F.lit(False).alias("more"))
+    lone = wanted_rows(pairs, many.select("pivot"), "pivot", "left_anti").where(close)
+    return flagged.select("key", "pivot", F.lit(True).alias("more")).unionByName(lone.select("key", "pivot", F.lit(False).alias("more")))
 
 
 def wanted_rows(rows: DataFrame, wanted: DataFrame, on: str, how: str) -> DataFrame:
@@ -229,12 +242,14 @@ def wanted_rows(rows: DataFrame, wanted: DataFrame, on: str, how: str) -> DataFr
 def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: int = SHINGLE, levels: int = 2) -> DataFrame:
     """Verified links (a, b) between the distinct keys, enough to hold each component together.
 
-    texts: (row_key, text); keys: one row (id, key, row_key, bands) for each key.
+    texts: (row_key, text); keys: one row (id, key, row_key, size, bands) for each key.
     """
     spark = texts.sparkSession
-    buckets = keys.select("id", "key", F.posexplode("bands").alias("band", "value")).select("id", "key", F.xxhash64("band", "value").alias("bucket"))
-    pairs, at = shared.put(_star(buckets, ["bucket"]), "pairs")
+    buckets = keys.select("id", "key", "size", F.posexplode("bands").alias("band", "value")).select("id", "key", "size", F.xxhash64("band", "value").alias("bucket"))
+    star, at = shared.put(_star(buckets, ["bucket"]), "star")
     paths = [at]
+    pairs, at = shared.put(_worth(star, threshold, levels == 0), "pairs")
+    paths.append(at)
     ends = pairs.select("key").unionByName(pairs.select(F.col("pivot").alias("key"))).distinct()
     wanted, at = shared.put(keys.join(ends, "key", "left_semi").select("row_key"), "wanted")
     paths.append(at)
@@ -243,10 +258,8 @@ def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: in
     paths.append(at)
     found = None
     for level in range(levels + 1):
-        # a group of one text and its pivot hides no other link
-        many = pairs.groupBy("pivot").agg((F.count("*") > (1 if level < levels else F.lit(1 << 62))).alias("more"))
-        psets = sets.select(F.col("key").alias("pivot"), F.col("sh").alias("psh")).join(many, "pivot")
-        both = pairs.join(sets, "key").join(psets, "pivot").select("key", "sh", "pivot", "psh", "more")
+        # each side of the second join is dealt out for it alone, so that Spark can split the rows of a pivot that very many texts share
+        both = pairs.join(sets, "key").select("key", "sh", "pivot", "more").join(sets.select(F.col("key").alias("pivot"), F.col("sh").alias("psh")), "pivot").select("key", "sh", "pivot", "psh", "more")
         tried, at = shared.put(both.mapInArrow(textops.tidy(_verify(threshold)), "key long, pivot long, linked boolean, delta array<long>"), "tried")
         paths.append(at)
         good = tried.where("linked").select(F.col("key").alias("a"), F.col("pivot").alias("b"))
@@ -254,10 +267,12 @@ def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: in
         if level == levels:
             break
         # where all of a pivot's group are linked to it, they are one component already
-        open_ = tried.where(~F.col("linked")).select("pivot").distinct()
-        differ = tried.join(open_, "pivot", "left_semi").select("key", F.explode("delta").alias("d"), F.col("pivot").alias("under"))
-        again = _star(differ.join(keys.select("id", "key"), "key"), ["under", "d"])
-        pairs, at = shared.put(again.join(tried.select("key", "pivot"), ["key", "pivot"], "left_anti"), "pairs")
+        open_, at = shared.put(tried.where(~F.col("linked") & (F.size("delta") > 0)).select("pivot").distinct(), "open")
+        paths.append(at)
+        differ = wanted_rows(tried.where(F.size("delta") > 0), open_, "pivot", "left_semi").select("key", F.explode("delta").alias("d"), F.col("pivot").alias("under"))
+        star, at = shared.put(_star(differ.join(keys.select("id", "key", "size"), "key"), ["under", "d"]).join(tried.select("key", "pivot"), ["key", "pivot"], "left_anti"), "star")
+        paths.append(at)
+        pairs, at = shared.put(_worth(star, threshold, level + 1 == levels), "pairs")
         paths.append(at)
     out, _ = shared.put(found.distinct(), "links")
     shared.remove(spark, *paths)
@@ -276,11 +291,11 @@ def classes(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", thr
     spark = docs.sparkSession
     texts = _key(docs, text_col, id_col)
     kind = docs.schema[id_col].dataType.simpleString()
-    signed = texts.mapInArrow(textops.tidy(_signed(2, n, bands, rows, ["id", "row_key", "key", "bands"])), f"id {kind}, row_key long, key long, bands array<long>")
+    signed = texts.mapInArrow(textops.tidy(_signed(2, n, bands, rows, ["id", "row_key", "key", "size", "bands"])), f"id {kind}, row_key long, key long, size long, bands array<long>")
     signed, at = shared.put(signed, "signed")
     own = signed.where(F.col("key").isNotNull())
-    keys = own.groupBy("key").agg(F.min(F.struct("id", "row_key")).alias("x"), F.min("bands").alias("bands"))
-    keys, at2 = shared.put(keys.select("x.id", "key", "x.row_key", "bands"), "keys")
+    keys = own.groupBy("key").agg(F.min(F.struct("id", "row_key")).alias("x"), F.min("size").alias("size"), F.min("bands").alias("bands"))
+    keys, at2 = shared.put(keys.select("x.id", "key", "x.row_key", "size", "bands"), "keys")
     roots = components(links(texts.select("row_key", "text"), keys, threshold, n))
     named = keys.select("id", "key", "row_key").join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
     least = named.groupBy("root").agg(F.min(F.struct("id", "row_key")).alias("x"))
