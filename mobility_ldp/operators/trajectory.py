@@ -44,7 +44,8 @@ def assemble(points: DataFrame, grid: Grid, method: str = "chebyshev", form: str
     t = at.groupBy("traj_id").agg(F.sort_array(F.collect_list(F.struct("ord", "cell"))).alias("p"))
     t = t.select("traj_id", F.col("p.cell").alias("c"))
     t = t.select("traj_id", collapse(F.col("c")).alias("c"))
-    t = t.select("traj_id", interpolate(F.col("c"), grid.n, method).alias("cells"))
+    # one list in a generator: a later filter on the cells stops here, where the optimiser would else write the steps into it, once for each use
+    t = t.select("traj_id", F.explode_outer(F.array(interpolate(F.col("c"), grid.n, method))).alias("cells"))
     return t.withColumn("n_cells", F.size("cells"))
 
 
