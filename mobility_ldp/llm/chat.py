@@ -115,19 +115,23 @@ def tokenizer(name: str):
 def _format(name, learn, max_chars, id_type):
     def run(batches):
         tok = tokenizer(name)
-        now, turns, size, segment, rows = None, [], 0, 0, []
+        now, turns, size, segment, rows, waiting = None, [], 0, 0, [], 0
 
         def close(last):
             formatted, spans = render(turns, learn)
             enc = tok.encode(formatted, add_special_tokens=False)
             offsets = np.array(enc.offsets, np.int64).reshape(-1, 2)
             on = mask(offsets[:, 0], offsets[:, 1], spans)
-            return (now[0], segment, formatted, enc.ids, offsets[:, 0].astype(np.int32), offsets[:, 1].astype(np.int32), on, len(turns), last)
+            return (now[0], segment, formatted, np.array(enc.ids, np.int32), offsets[:, 0].astype(np.int32), offsets[:, 1].astype(np.int32), on, len(turns), last)
+
+        def lists(k, kind):
+            size = np.cumsum([0, *(len(r[k]) for r in rows)])
+            return pa.ListArray.from_arrays(pa.array(size, pa.int32()), pa.array(np.concatenate([np.zeros(0, kind), *(r[k] for r in rows)]).astype(kind)))
 
         def out():
-            cols = list(zip(*rows, strict=True)) or [[]] * 9
-            kinds = [id_type, pa.int64(), pa.string(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.list_(pa.bool_()), pa.int64(), pa.bool_()]
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["conv_id", "segment", "formatted", "tokens", "starts", "ends", "mask", "n_turns", "last"])
+            plain = [pa.array([r[k] for r in rows], kind) for k, kind in ((0, id_type), (1, pa.int64()), (2, pa.string()), (7, pa.int64()), (8, pa.bool_()))]
+            arrays = [*plain[:3], lists(3, np.int32), lists(4, np.int32), lists(5, np.int32), lists(6, bool), *plain[3:]]
+            return pa.RecordBatch.from_arrays(arrays, ["conv_id", "segment", "formatted", "tokens", "starts", "ends", "mask", "n_turns", "last"])
 
         for batch in batches:
             for conv, role, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
@@ -140,9 +144,11 @@ def _format(name, learn, max_chars, id_type):
                 now = (conv,)
                 turns.append((role or "", text or ""))
                 size += len(role or "") + len(text or "")
-                if sum(len(r[2]) for r in rows) > 1 << 20 or len(rows) > 500:
+                waiting += len(text or "")
+                if waiting > 1 << 20:
                     yield out()
                     rows.clear()
+                    waiting = 0
         if now is not None:
             rows.append(close(True))
         yield out()
@@ -164,11 +170,14 @@ def _digest(batches):
     turns, loss, n, chars, length = hashlib.sha256(), hashlib.sha256(), 0, 0, 0
     for batch in batches:
         out = []
-        for conv, formatted, starts, ends, on, last in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+        bounds = batch.column(2).offsets.to_numpy()
+        starts, ends, on = (batch.column(k).values.to_numpy(zero_copy_only=False) for k in (2, 3, 4))
+        for k, (conv, formatted, last) in enumerate(zip(*(batch.column(c).to_pylist() for c in (0, 1, 5)), strict=True)):
+            own = slice(bounds[k], bounds[k + 1])
             for role, text in parse(formatted):
                 turns.update(f"{role}\n{text}\n".encode())
                 n += 1
-            for text in loss_texts(formatted, starts, ends, on):
+            for text in loss_texts(formatted, starts[own], ends[own], on[own]):
                 loss.update(text.encode())
                 chars += len(text)
             length += len(formatted)
