@@ -50,3 +50,9 @@ def plan_budget(eps: float, l_k: int, scheme: str = "default", shares: tuple[flo
         raise ValueError(f"no scheme {scheme}")
     each = 0.9 * eps / (l_k + 2) if not math.isinf(eps) else math.inf
     return BudgetPlan(eps, eps / 10, each * l_k if l_k else 0.0, 2 * each, l_k, scheme)
+
+
+def report_bits(cells: int, states: int, l_k: int, max_len: int | None = None) -> dict[str, int]:
+    """Bits that a user sends: one report of the length, l_k of moves, two of ends."""
+    parts = {"length": max_len or cells, "moves": l_k * states, "ends": 2 * cells}
+    return parts | {"total": sum(parts.values())}

@@ -9,9 +9,15 @@ from . import oue
 
 
 def ratio_mean(fx, fy):
+    """First-order mean of the ratio of two estimates."""
     return fx / fy
 
 
+def length_prob_mean(freqs: DataFrame) -> DataFrame:
+    """(len, p): what the estimated distribution of lengths is on average, from true counts (len, f)."""
+    return freqs.select("len", (F.col("f") / F.sum("f").over(Window.partitionBy())).alias("p"))
+
+
 def ratio_variance(fx, fy, vx, vy, cov=0.0):
     """First-order variance of the ratio of two estimates; numbers or columns."""
     return (fx * fx) / (fy * fy) * (vx / (fx * fx) - 2 * cov / (fx * fy) + vy / (fy * fy))

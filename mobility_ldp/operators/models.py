@@ -45,6 +45,17 @@ def state_items(grid: Grid, cells: str = "cells") -> Column:
     return F.transform(F.slice(c, 2, F.greatest(F.size(c) - 1, F.lit(0))), item)
 
 
+def speed_item(points: DataFrame, bins: int = 8, top: float = 1e-3) -> DataFrame:
+    """(traj_id, item): the bucket of each trip's mean speed, way over time, for points whose order has a time ts; trips of no time have none."""
+    w = Window.partitionBy("traj_id").orderBy("ord")
+    ts = F.unix_micros(F.col("ord.ts").cast("timestamp")) / 1e6
+    step = F.sqrt(F.pow(F.col("x") - F.lag("x").over(w), 2) + F.pow(F.col("y") - F.lag("y").over(w), 2))
+    s = points.select("traj_id", step.alias("d"), ts.alias("t")).groupBy("traj_id").agg(F.sum("d").alias("d"), (F.max("t") - F.min("t")).alias("t"))
+    v = F.try_divide(F.col("d"), F.col("t"))
+    # least() skips nulls, so a trip of no time is kept apart
+    return s.select("traj_id", F.when(v.isNotNull(), F.least(F.floor(v / top * bins), F.lit(bins - 1))).cast("int").alias("item"))
+
+
 def kept_moves(items: Column, l_k: int, which: str = "first", seed: int = 0) -> Column:
     """The l_k moves that are reported: the first, or a seeded even sample."""
     if which == "first":

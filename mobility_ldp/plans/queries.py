@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..functions import rng, sqlsurface
 from ..functions.cells import encode_trip
-from ..operators import ablations, attacks, budget, errors, granularity, metrics, models, ngram, oue, synthesis, trajectory
+from ..operators import ablations, attacks, budget, errors, granularity, metrics, models, ngram, oue, second_order, synthesis, trajectory
 from ..operators.grid import END, START, make_grid, state_domain
 from ..sources import walks
 from ..streaming import trips as streams
@@ -425,6 +425,63 @@ def sql_surface(spark, sf):
 
 register("sql_surface", sql_surface, ctes("customer_walk") + f"SELECT cy * {SIDE} + cx AS cell, count(*) AS n FROM c GROUP BY 1")
 
+
+
+def second_order_counts(spark, sf):
+    """Runs of three cells, counted by their ids."""
+    t, g = trips(spark, sf)
+    names = F.array(*[F.lit("-".join(map(str, r))) for r in second_order.runs(g)])
+    out = second_order.with_runs(t, g).select(F.explode("runs").alias("r")).groupBy("r").agg(F.count("*").alias("n"))
+    return out.select(F.get(names, F.col("r")).alias("run"), "n")
+
+
+register("second_order_counts", second_order_counts, ctes() + ", v AS (SELECT cell, lead(cell) OVER w AS b, lead(cell, 2) OVER w AS c FROM t WINDOW w AS (PARTITION BY traj_id ORDER BY pos)) SELECT concat_ws('-', cell, b, c) AS run, count(*) AS n FROM v WHERE c IS NOT NULL GROUP BY 1")
+
+
+def second_order_synthesis(spark, sf):
+    t, g = trips(spark, sf, "customer_walk", 4)
+    return as_text(second_order.synthesize(spark, *second_order.fit(t, g, 2.0, seed=SEED), 1000, SEED))
+
+
+register("second_order_synthesis", second_order_synthesis)
+
+
+def length_prob_mean(spark, sf):
+    f = trips(spark, sf)[0].groupBy(F.col("n_cells").alias("len")).agg(F.count("*").alias("f"))
+    return errors.length_prob_mean(f).select("len", r6("p").alias("p"))
+
+
+register("length_prob_mean", length_prob_mean, ctes() + LEN_ERR + " SELECT CAST(len AS INTEGER) AS len, round(f / n, 6) AS p FROM lf, z")
+
+
+def speed_counts(spark, sf):
+    """Trips by mean speed: true counts through the fused pass, and what one noisy collection estimates is in speed_estimate."""
+    items = models.speed_item(points(spark, sf, "userday_walk"))
+    return oue.fused(items, [("speed", F.col("item"), 0, 8, math.inf)], SEED).where("ones > 0").select("item", "ones", "n")
+
+
+_speed = "WITH p AS (SELECT user_id * 1000 + dayofyear(ts) AS traj_id, ts, event_id, ln(1 + value) AS x, CAST(props->>'$.k' AS DOUBLE) AS y FROM events), d AS (SELECT traj_id, ts, sqrt(pow(x - lag(x) OVER w, 2) + pow(y - lag(y) OVER w, 2)) AS d FROM p WINDOW w AS (PARTITION BY traj_id ORDER BY ts, event_id)), s AS (SELECT traj_id, sum(d) AS d, (epoch_us(max(ts)) - epoch_us(min(ts))) / 1e6 AS t FROM d GROUP BY 1)"
+register("speed_counts", speed_counts, _speed + " SELECT CAST(least(floor(d / t / 0.001 * 8), 7) AS INTEGER) AS item, count(*) AS ones, (SELECT count(*) FROM s) AS n FROM s WHERE t > 0 GROUP BY 1")
+register("speed_estimate", lambda spark, sf: oue.estimate(oue.fused(models.speed_item(points(spark, sf, "userday_walk")), [("speed", F.col("item"), 0, 8, 1.0)], SEED), 1.0))
+
+
+def length_quantiles(spark, sf):
+    """Exact quantiles of the trips' lengths."""
+    t, _ = trips(spark, sf)
+    q = [F.expr(f"percentile_disc({k}) WITHIN GROUP (ORDER BY n_cells)").cast("int").alias(f"q{int(k * 100)}") for k in (0.5, 0.9, 0.99)]
+    return t.agg(*q)
+
+
+register("length_quantiles", length_quantiles, ctes() + "SELECT CAST(quantile_disc(c, 0.5) AS INTEGER) AS q50, CAST(quantile_disc(c, 0.9) AS INTEGER) AS q90, CAST(quantile_disc(c, 0.99) AS INTEGER) AS q99 FROM (SELECT count(*) AS c FROM t GROUP BY traj_id)")
+
+
+def report_bits(spark, sf):
+    rows = [(n, budget.report_bits(n * n, 4 * (n - 1) * (2 * n - 1), k)["total"]) for n, k in ((3, 4), (6, 9), (8, 15))]
+    return spark.createDataFrame(rows, "n int, bits long")
+
+
+register("report_bits", report_bits, "SELECT CAST(n AS INTEGER) AS n, CAST(n * n + k * 4 * (n - 1) * (2 * n - 1) + 2 * n * n AS BIGINT) AS bits FROM (VALUES (3, 4), (6, 9), (8, 15)) v(n, k)")
+
 # ---- measures --------------------------------------------------------------------
 
 HALF = ", r AS (SELECT * FROM t WHERE traj_id % 2 = 0), s AS (SELECT * FROM t WHERE traj_id % 2 = 1)"

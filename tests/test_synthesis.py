@@ -127,3 +127,30 @@ def test_table_function(spark, sf):
     assert spark.sql("SELECT * FROM synthesize_trips(20, 7)").count() == 20
     assert "oue_variance" in sqlsurface.register(spark)
     assert abs(spark.sql("SELECT oue_variance(1D, 1D) AS v").first()["v"] - 3.682694) < 1e-6
+
+
+def test_second_order(spark, sf):
+    from mobility_ldp.operators import second_order
+
+    t, g, m = exact(spark, sf)
+    runs = second_order.runs(g)
+    got = {}
+    for r in second_order.with_runs(t, g).select("cells", "runs").collect():
+        want = [tuple(r["cells"][k : k + 3]) for k in range(len(r["cells"]) - 2)]
+        assert [runs[i] for i in r["runs"]] == want
+        for w in want:
+            got[w] = got.get(w, 0) + 1
+    first, counts = second_order.fit(t, g, math.inf, k=1.0)
+    rows = second_order.synthesize(spark, first, counts, 2000, 3).collect()
+    assert all(b in g.neighbours(a) for r in rows for a, b in zip(r["cells"], r["cells"][1:]))
+    # steps after the first follow runs that were seen
+    cut = {w for w, c in zip(runs, counts) if c > 0}
+    seen = {tuple(r["cells"][k : k + 3]) for r in rows for k in range(len(r["cells"]) - 2)}
+    heads = {w[:2] for w in cut}
+    assert all(w in cut for w in seen if w[:2] in heads)
+
+
+def test_report_bits():
+    from mobility_ldp.operators.budget import report_bits
+
+    assert report_bits(36, 220, 9) == {"length": 36, "moves": 1980, "ends": 72, "total": 2088}
