@@ -327,3 +327,15 @@ def op2(spark, sf_dir: str) -> DataFrame:
     """One row per document: doc_id and class_id, the least doc_id of its class of near duplicates."""
     docs = shared.table(spark, sf_dir, "documents").select("doc_id", "text")
     return classes(docs).select(F.col("id").alias("doc_id"), "class_id")
+
+
+#: All pairs by their shared shingles, and components by reach: exact, and for small tables only. Ids are distinct there.
+SQL = r"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents),
+s AS (SELECT DISTINCT doc_id, array_to_string(ws[p:p + 4], ' ') AS g FROM (SELECT doc_id, ws, unnest(generate_series(1, greatest(1, len(ws) - 4))) AS p FROM d WHERE len(ws) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+e AS (SELECT x, y FROM (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY 1, 2) p
+      JOIN n i ON i.doc_id = x JOIN n j ON j.doc_id = y WHERE k >= CAST(0.8 AS DOUBLE) * (i.n + j.n - k)),
+c AS (SELECT doc_id AS x, doc_id AS r FROM d UNION SELECT e.y, c.r FROM c JOIN e ON c.x = e.x)
+SELECT x AS doc_id, min(r) AS class_id FROM c GROUP BY x
+"""
