@@ -1,12 +1,14 @@
 """Near-duplicate classes by ProbMinHash signatures, banding and exact verification.
 
 Texts are sets of hashed runs of five lower-cased words (a text of fewer words
-is one run), weighted by their counts. A signature has m registers. Each
-shingle sends a Poisson process of arrivals, at a rate of its weight, to random
-registers; a register keeps its first arrival. A shingle stops as soon as its
-next arrival comes after the latest first arrival of all registers, so most
-shingles stop after one or two. Registers of two texts agree with a
-probability that is their probability Jaccard similarity.
+is one run). A signature has m registers. Each shingle sends a Poisson process
+of arrivals, at a rate of its weight, to random registers; a register keeps its
+first arrival. A shingle stops as soon as its next arrival comes after the
+latest first arrival of all registers, so most shingles stop after one or two.
+Registers of two texts agree with a probability that is their probability
+Jaccard similarity. The bands give each distinct shingle the same weight, which
+makes that the Jaccard similarity of the sets: how often a text repeats a
+shingle does not count, as it does not for links.
 
 Texts of equal word sequences are merged first (a hash aggregate). The rest
 meets in bands of registers. Within a bucket nothing is paired off: each text
@@ -122,8 +124,9 @@ def _signed(text_at, n, bands, rows, names):
             cols = [c for k, c in enumerate(batch.columns) if k != text_at]
             for i, j in textops.chunks(offsets):
                 h, b, size, whole = shingles(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], ranges, n)
-                h, w, b = weighted(h, b)
-                sig = signatures(h, w.astype(np.float64), b, bands * rows).reshape(-1, bands, rows)
+                h, _, b = weighted(h, b)
+                # equal weights: registers then agree with exactly the similarity that is verified
+                sig = signatures(h, np.ones(len(h)), b, bands * rows).reshape(-1, bands, rows)
                 band = np.zeros((j - i, bands), np.uint64)
                 for k in range(rows):
                     band = textops.mix(band * np.uint64(GOLDEN) + sig[:, :, k] + np.uint64(k + 1))

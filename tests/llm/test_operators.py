@@ -146,6 +146,16 @@ def test_one_of_each_class_stays(spark):
     assert near_dedup.keep_first(docs).columns == docs.columns
 
 
+def test_repeats_inside_a_text_do_not_part_copies(spark):
+    texts = []
+    for k in range(12):
+        w = prose(300 + k, 200).split()
+        line = " ".join(w[60:74])
+        texts += [" ".join(w), " ".join([*w, *[line] * 100])]
+    got = {x["id"]: x["class_id"] for x in near_dedup.classes(frame(spark, texts)).collect()}
+    assert [got[k] for k in range(24)] == brute_classes(texts) == [k - k % 2 for k in range(24)]
+
+
 def test_signatures_estimate_probability_jaccard():
     r = np.random.default_rng(0)
     pool = r.integers(1, 1 << 63, 300).astype(np.uint64)
