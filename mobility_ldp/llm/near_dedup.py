@@ -15,9 +15,10 @@ meets in bands of registers. Within a bucket nothing is paired off: each text
 is held against the bucket's pivot, its first text. Two texts that are both
 far from the pivot but near to each other differ from it by shared shingles;
 so texts meet again under (pivot, shingle by which they differ), again against
-the first of each group, and once more below that. Links are exact: the
-Jaccard similarity of the whole shingle sets is at least the threshold.
-Classes are the connected components, found by rounds of label spreading.
+the first of each group, and so on until no group is left that holds texts of
+several components. Links are exact: the Jaccard similarity of the whole
+shingle sets is at least the threshold. Classes are the connected components,
+found by rounds of label spreading.
 
 Texts without words are alone in their class. Null ids stay null and are
 ordered last; repeated rows fall into one class.
@@ -27,7 +28,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import shared, textops
@@ -151,41 +152,49 @@ def _sets(n):
     return run
 
 
-def prefix(x, same, y, gone, threshold):
-    """The shingles under which a text x that differs from its pivot y can meet the texts near to it.
+def slots(size, threshold):
+    """How many of the shingles by which a text of so many shingles differs from its pivot must hold one that a text near to it differs by too.
 
     A text a with Jaccard(a, x) >= threshold differs from x by at most t = |x| (1 - threshold) / threshold
-    shingles, so what a and x each differ from the pivot by has |delta of x| - t shingles in common. In an
-    order that both share (added before missing, then by hash), the first t + 1 of delta must hold one of them.
+    shingles. If what a and x differ from the pivot by has nothing in common, both are linked to it. Else, in
+    any order that both share, at most t shingles of x come before the first that is common.
     """
-    delta = np.concatenate([x[~same], y[gone]])
-    return delta[: int(len(x) * (1 - threshold) / threshold) + 1]
+    return int(size * (1 - threshold) / threshold + 1e-9) + 1
+
+
+#: Shingles of differences after which a batch is sent on.
+FLUSH = 1 << 18
 
 
 def _verify(threshold):
-    """Rows (key, sh, pivot, psh, more) -> linked, and where more is set the shingles of prefix()."""
+    """Rows (key, sh, pivot, psh, more) -> linked, and where more is set the shingles that only one of both has, and slots()."""
 
     def run(batches):
         for batch in batches:
             key, a, pivot, b, more = batch.columns
             ao, bo = a.offsets.to_numpy(), b.offsets.to_numpy()
             av, bv, more = a.values.to_numpy().view(np.uint64), b.values.to_numpy().view(np.uint64), more.to_numpy(zero_copy_only=False)
-            linked, deltas, ends = np.zeros(len(key), bool), [np.zeros(0, np.uint64)], [0]
+            start, linked, fits, deltas, ends = 0, [], [], [np.zeros(0, np.uint64)], [0]
             for r in range(len(key)):
                 x, y = av[ao[r] : ao[r + 1]], bv[bo[r] : bo[r + 1]]
                 at = np.searchsorted(y, x)
                 at[at == len(y)] = 0
                 same = y[at] == x
                 both = int(same.sum())
-                linked[r] = both >= threshold * (len(x) + len(y) - both)
+                linked.append(both >= threshold * (len(x) + len(y) - both))
+                fits.append(slots(len(x), threshold))
                 size = 0
                 if more[r]:
                     gone = np.ones(len(y), bool)
                     gone[at[same]] = False
-                    deltas.append(prefix(x, same, y, gone, threshold))
-                    size = len(deltas[-1])
+                    deltas += [x[~same], y[gone]]
+                    size = len(x) + len(y) - 2 * both
                 ends.append(ends[-1] + size)
-            yield pa.RecordBatch.from_arrays([key, pivot, pa.array(linked), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(deltas).view(np.int64)))], ["key", "pivot", "linked", "delta"])
+                if r + 1 == len(key) or ends[-1] > FLUSH:
+                    n = r + 1 - start
+                    lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(deltas).view(np.int64)))
+                    yield pa.RecordBatch.from_arrays([key.slice(start, n), pivot.slice(start, n), batch.column(4).slice(start, n), pa.array(linked, pa.bool_()), pa.array(fits, pa.int64()), lists], ["key", "pivot", "more", "linked", "slots", "delta"])
+                    start, linked, fits, deltas, ends = r + 1, [], [], [np.zeros(0, np.uint64)], [0]
 
     return run
 
@@ -218,40 +227,52 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def _star(groups: DataFrame, by: list[str]) -> DataFrame:
-    """Pairs (key, size, pivot, psize) of the members (id, key, size) of each group and its first member."""
-    own = F.struct("id", "key", "size")
-    ends = groups.groupBy(*by).agg(F.min(own).alias("lo"), F.max(own).alias("hi"))
-    first = ends.where(F.col("lo.key") != F.col("hi.key")).select(*by, F.col("lo.key").alias("pivot"), F.col("lo.size").alias("psize"))
-    return groups.join(first, by).where(F.col("key") != F.col("pivot")).select("key", "size", "pivot", "psize").distinct()
+    """Pairs (key, size, root, pivot, psize, proot) of the members (id, key, size, root) of each group and its first member; groups of one root have none."""
+    ends = groups.groupBy(*by).agg(F.min(F.struct("id", "key", "size", "root")).alias("lo"), F.min("root").alias("r1"), F.max("root").alias("r2"))
+    first = ends.where(F.col("r1") != F.col("r2")).select(*by, F.col("lo.key").alias("pivot"), F.col("lo.size").alias("psize"), F.col("lo.root").alias("proot"))
+    return groups.join(first, by).where(F.col("key") != F.col("pivot")).select("key", "size", "root", "pivot", "psize", "proot").distinct()
 
 
-def _worth(pairs: DataFrame, threshold: float, last: bool) -> DataFrame:
+def _worth(pairs: DataFrame, threshold: float) -> DataFrame:
     """pairs (key, pivot, more): more marks pivots of more than one text, whose texts can be near to each other unseen.
-    A lone pair goes if the sizes alone rule out a link; so do all such pairs in the last round."""
+    A lone pair goes if the sizes alone rule out a link, or if both are of one root."""
     many = pairs.groupBy("pivot").agg((F.count("*") > 1).alias("more")).where("more")
-    flagged = pairs if last else wanted_rows(pairs, many.select("pivot"), "pivot", "left_semi")
-    close = F.least("size", "psize") >= threshold * F.greatest("size", "psize")
-    if last:
-        return pairs.where(close).select("key", "pivot", F.lit(False).alias("more"))
+    close = (F.least("size", "psize") >= threshold * F.greatest("size", "psize")) & (F.col("root") != F.col("proot"))
+    flagged = wanted_rows(pairs, many.select("pivot"), "pivot", "left_semi")
     lone = wanted_rows(pairs, many.select("pivot"), "pivot", "left_anti").where(close)
     return flagged.select("key", "pivot", F.lit(True).alias("more")).unionByName(lone.select("key", "pivot", F.lit(False).alias("more")))
 
 
+def _differing(tried: DataFrame, members: DataFrame) -> DataFrame:
+    """(under, d, id, key, size, root): each text of tried under its pivot and the shingles d by which it can meet the texts near to it.
+
+    tried: (key, pivot, slots, delta) with all the texts of each pivot. Shingles by which only one text, or only
+    texts of one root, differ from the pivot come first in the order of slots(): nothing is to be found under them. Rarer ones are next.
+    """
+    each = tried.select("key", "slots", F.size("delta").alias("n_delta"), F.explode("delta").alias("d"), F.col("pivot").alias("under")).join(members, "key")
+    shared_by = each.groupBy("under", "d").agg(F.count("*").alias("n"), F.min("root").alias("r1"), F.max("root").alias("r2")).where(F.col("r1") != F.col("r2")).select("under", "d", "n")
+    met = each.join(shared_by, ["under", "d"])
+    own = Window.partitionBy("key", "under")
+    placed = met.withColumn("place", F.row_number().over(own.orderBy("n", "d"))).withColumn("met", F.count("*").over(own))
+    return placed.where(F.col("place") + F.col("n_delta") - F.col("met") <= F.col("slots")).select("under", "d", "id", "key", "size", "root")
+
+
 def wanted_rows(rows: DataFrame, wanted: DataFrame, on: str, how: str) -> DataFrame:
     """rows semi- or anti-joined with the distinct values of wanted, which are sent to all if they are few enough."""
     return rows.join(F.broadcast(wanted) if wanted.count() <= BROADCAST_KEYS else wanted, on, how)
 
 
-def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: int = SHINGLE, levels: int = 2) -> DataFrame:
-    """Verified links (a, b) between the distinct keys, enough to hold each component together.
+def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: int = SHINGLE) -> DataFrame:
+    """Verified links (a, b) between the distinct keys: all pairs near to each other that share a bucket end in one component.
 
     texts: (row_key, text); keys: one row (id, key, row_key, size, bands) for each key.
+    A pivot comes before its texts in the order of ids, and that of their groups after it, so the rounds end.
     """
     spark = texts.sparkSession
-    buckets = keys.select("id", "key", "size", F.posexplode("bands").alias("band", "value")).select("id", "key", "size", F.xxhash64("band", "value").alias("bucket"))
+    buckets = keys.select("id", "key", "size", F.col("key").alias("root"), F.posexplode("bands").alias("band", "value")).select("id", "key", "size", "root", F.xxhash64("band", "value").alias("bucket"))
     star, at = shared.put(_star(buckets, ["bucket"]), "star")
     paths = [at]
-    pairs, at = shared.put(_worth(star, threshold, levels == 0), "pairs")
+    pairs, at = shared.put(_worth(star, threshold), "pairs")
     paths.append(at)
     ends = pairs.select("key").unionByName(pairs.select(F.col("pivot").alias("key"))).distinct()
     wanted, at = shared.put(keys.join(ends, "key", "left_semi").select("row_key"), "wanted")
@@ -259,24 +280,37 @@ def links(texts: DataFrame, keys: DataFrame, threshold: float = THRESHOLD, n: in
     chosen = wanted_rows(texts, wanted, "row_key", "left_semi").select("text")
     sets, at = shared.put(chosen.mapInArrow(textops.tidy(_sets(n)), "key long, sh array<long>").dropDuplicates(["key"]), "sets")
     paths.append(at)
-    found = None
-    for level in range(levels + 1):
+    found = tried = None
+    while True:
         # each side of the second join is dealt out for it alone, so that Spark can split the rows of a pivot that very many texts share
         both = pairs.join(sets, "key").select("key", "sh", "pivot", "more").join(sets.select(F.col("key").alias("pivot"), F.col("sh").alias("psh")), "pivot").select("key", "sh", "pivot", "psh", "more")
-        tried, at = shared.put(both.mapInArrow(textops.tidy(_verify(threshold)), "key long, pivot long, linked boolean, delta array<long>"), "tried")
+        new, at = shared.put(both.mapInArrow(textops.tidy(_verify(threshold)), "key long, pivot long, more boolean, linked boolean, slots long, delta array<long>"), "tried")
         paths.append(at)
-        good = tried.where("linked").select(F.col("key").alias("a"), F.col("pivot").alias("b"))
+        good = new.where("linked").select(F.col("key").alias("a"), F.col("pivot").alias("b"))
         found = good if found is None else found.unionByName(good)
-        if level == levels:
+        # texts of several pivots are held against them once, and stay for all later rounds
+        tried = new.where("more") if tried is None else tried.unionByName(new.where("more"))
+        fresh, at = shared.put(new.where("more").groupBy("pivot").agg(F.min("linked").alias("all")).where(~F.col("all")).select("pivot"), "fresh")
+        paths.append(at)
+        if fresh.isEmpty():
             break
-        # where all of a pivot's group are linked to it, they are one component already
-        open_, at = shared.put(tried.where(~F.col("linked") & (F.size("delta") > 0)).select("pivot").distinct(), "open")
+        roots = components(found)
+        members = keys.select("id", "key", "size").join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
+        members, at = shared.put(members.join(ends, "key", "left_semi"), "members")
+        paths.append(at)
+        # only pivots with new texts, and only those whose texts are of several components
+        held = wanted_rows(tried, fresh, "pivot", "left_semi")
+        open_ = held.select("key", "pivot").join(members.select("key", "root"), "key").groupBy("pivot").agg(F.min("root").alias("r1"), F.max("root").alias("r2")).where(F.col("r1") != F.col("r2")).select("pivot")
+        open_, at = shared.put(open_, "open")
         paths.append(at)
-        differ = wanted_rows(tried.where(F.size("delta") > 0), open_, "pivot", "left_semi").select("key", F.explode("delta").alias("d"), F.col("pivot").alias("under"))
-        star, at = shared.put(_star(differ.join(keys.select("id", "key", "size"), "key"), ["under", "d"]).join(tried.select("key", "pivot"), ["key", "pivot"], "left_anti"), "star")
+        differ, at = shared.put(_differing(wanted_rows(held, open_, "pivot", "left_semi"), members), "differ")
         paths.append(at)
-        pairs, at = shared.put(_worth(star, threshold, level + 1 == levels), "pairs")
+        star, at = shared.put(_star(differ, ["under", "d"]), "star")
         paths.append(at)
+        pairs, at = shared.put(_worth(star, threshold).join(tried.select("key", "pivot"), ["key", "pivot"], "left_anti"), "pairs")
+        paths.append(at)
+        if pairs.isEmpty():
+            break
     out, _ = shared.put(found.distinct(), "links")
     shared.remove(spark, *paths)
     return out

@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -156,6 +157,35 @@ def test_repeats_inside_a_text_do_not_part_copies(spark):
     assert [got[k] for k in range(24)] == brute_classes(texts) == [k - k % 2 for k in range(24)]
 
 
+def passage_sets(n, seed=3):
+    """Sets of shingles of 12 passages out of 30, half of them with a near copy that has one other passage."""
+    r, own = random.Random(seed), random.Random(seed + 1)
+    pool = [[own.randrange(1, 1 << 62) for _ in range(4)] for _ in range(30)]
+    picks = []
+    for _ in range(n // 2):
+        p = r.sample(range(30), 12)
+        picks += [frozenset(p), frozenset(p[1:] + [r.choice([k for k in range(30) if k not in p])])]
+    return [sorted(x for k in p for x in pool[k]) for p in dict.fromkeys(picks)]
+
+
+def test_links_of_one_crowded_bucket(spark, monkeypatch):
+    sets = passage_sets(240)
+    monkeypatch.setattr(near_dedup, "_sets", lambda n: fixed_sets)
+
+    def fixed_sets(batches):
+        for b in batches:
+            at = [int(x) for x in b.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array([sets[k] for k in at], pa.list_(pa.int64()))], ["key", "sh"])
+
+    texts = spark.createDataFrame([(k, str(k)) for k in range(len(sets))], "row_key long, text string")
+    keys = spark.createDataFrame([(k, k, k, len(x), [1]) for k, x in enumerate(sets)], "id long, key long, row_key long, size long, bands array<long>")
+    near = {(a, b) for a in range(len(sets)) for b in range(a) if len(set(sets[a]) & set(sets[b])) >= 0.8 * len(set(sets[a]) | set(sets[b]))}
+    found = near_dedup.links(texts, keys)
+    assert {(x["a"], x["b"]) for x in found.collect()} <= near and len(near) > 100
+    root = {x["key"]: x["root"] for x in near_dedup.components(found).collect()}
+    assert [p for p in sorted(near) if root.get(p[0], p[0]) != root.get(p[1], p[1])] == []
+
+
 def test_signatures_estimate_probability_jaccard():
     r = np.random.default_rng(0)
     pool = r.integers(1, 1 << 63, 300).astype(np.uint64)
