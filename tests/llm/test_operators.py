@@ -296,6 +296,16 @@ def test_mined_rules(spark, monkeypatch):
     assert urlrules.judge(pages.limit(0), rules).count() == 0
 
 
+def test_a_small_bad_host_among_many_pages(spark):
+    n = 14_000
+    host = F.when(F.col("id") < 50, "farm.example.org").otherwise(F.concat(F.lit("h"), (F.col("id") % 40).cast("string"), F.lit(".example.com")))
+    pages = spark.range(n).select(F.col("id").alias("page_id"), F.concat(F.lit("http://"), host, F.lit("/p")).alias("url"))
+    labels = spark.range(n).select(F.col("id").alias("doc_id"), (F.col("id") >= 50).cast("int").alias("quality"), F.lit(0).alias("toxic"))
+    rules = urlrules.mine(urlrules.labelled_pages(pages, labels))
+    got = {x["page_id"] for x in urlrules.judge(pages, rules, fixed=()).collect() if x["verdict"] == "block"}
+    assert got == set(range(50))
+
+
 # ---- licences ---------------------------------------------------------------------------
 
 
