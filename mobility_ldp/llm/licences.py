@@ -121,23 +121,32 @@ def with_canonical(df: DataFrame, text: str, name: str, longest: Column) -> Data
     return plain.select(*keep, F.when(F.length("low") <= longest, spelt).otherwise(F.col("low")).alias(name))
 
 
-def known(spark: SparkSession) -> DataFrame:
-    """(digest, licence) of all known texts and notices."""
-    rows = spark.createDataFrame(notices(), "licence string, kind string, text string")
-    form = with_canonical(rows.select("licence", "text"), "text", "form", F.lit(TEXT_CHARS))
+def known(spark: SparkSession, texts: DataFrame | None = None, longest: int = TEXT_CHARS) -> DataFrame:
+    """(digest, licence) of all known texts and notices, and of the given texts (licence, text), each as it is and without a title in its first line."""
+    rows = spark.createDataFrame(notices(), "licence string, kind string, text string").select("licence", "text")
+    if texts is not None:
+        # a first line that a blank line parts from the rest, and that says nothing of copyright and does not end in a full stop, is a title
+        title = r"^\s*(?![^\n]*\.\s*\n)(?![^\n]*(?i:copyright|\(c\)|©))[^\n]+\r?\n\s*\n(?=[\s\S]*\S)"
+        own = texts.where(F.col("text").isNotNull()).select("licence", "text")
+        rows = rows.unionByName(own).unionByName(own.select("licence", F.regexp_replace("text", title, "").alias("text")))
+    form = with_canonical(rows, "text", "form", F.lit(longest)).where(F.length("form") > 0)
     return form.select(F.md5("form").alias("digest"), "licence").groupBy("digest").agg(F.min("licence").alias("licence"))
 
 
-def scan(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
+def scan(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", texts: DataFrame | None = None) -> DataFrame:
     """(id, text_digest, licence, notices): the digest of the entire text, the licence that it is, and the sorted licences of its lines that are notices.
 
-    Texts are not shuffled: a row for each document and one for each line that is known are brought together.
+    texts: further licence texts (licence, text), whose titles may be left out. Texts of docs are not shuffled: a row
+    for each document and one for each line that is known are brought together.
     """
-    rows, path = shared.put(known(docs.sparkSession), "licences")
+    longest = TEXT_CHARS
+    if texts is not None:
+        longest = max(longest, 3 * (texts.agg(F.max(F.length("text"))).first()[0] or 0) // 2)
+    rows, path = shared.put(known(docs.sparkSession, texts, longest), "licences")
     own = docs.select(F.monotonically_increasing_id().alias("row"), F.col(f"`{id_col}`").alias("id"), F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("t"))
     part = lambda whole, x: F.struct(F.lit(whole).alias("whole"), x.alias("s"))
     parts = own.select("row", "id", F.explode_outer(F.concat(F.array(part(True, F.col("t"))), F.transform(F.split("t", "\n"), lambda x: part(False, x)))).alias("p"))
-    forms = with_canonical(parts.select("row", "id", F.col("p.whole").alias("whole"), F.col("p.s").alias("s")), "s", "form", F.when(F.col("whole"), TEXT_CHARS).otherwise(NOTICE_CHARS))
+    forms = with_canonical(parts.select("row", "id", F.col("p.whole").alias("whole"), F.col("p.s").alias("s")), "s", "form", F.when(F.col("whole"), longest).otherwise(NOTICE_CHARS))
     # no filter on the form before the join: it would compute the form once more
     keyed = forms.select("row", "id", "whole", F.when(F.length("form") > 0, F.md5("form")).alias("digest"))
     hit = keyed.join(F.broadcast(rows.select("digest", "licence")), "digest", "left").where(F.col("whole") | F.col("licence").isNotNull())

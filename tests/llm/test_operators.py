@@ -329,6 +329,14 @@ def test_licences(spark):
     assert licences.scan(frame(spark, []).limit(0)).count() == 0
 
 
+def test_given_licence_texts(spark):
+    own = [("Own-1.0", "Own License\n\nCopyright (c) <year> X\n\n" + prose(8, 2_000) + " organisation"), ("MIT", licences.TEXTS["MIT"]), ("BSD-2-Clause", licences.TEXTS["BSD-2-Clause"]), ("None", None)]
+    texts = [own[0][1], own[0][1].split("\n\n", 1)[1].replace("organisation", "organization"), own[1][1].split("\n\n", 1)[1], own[2][1], own[0][1] + " more", None]
+    table = spark.createDataFrame(own, "licence string, text string")
+    got = {x["doc_id"]: x["licence"] for x in licences.scan(frame(spark, texts), texts=table).collect()}
+    assert [got[k] for k in range(6)] == ["Own-1.0", "Own-1.0", "MIT", "BSD-2-Clause", None, None]
+
+
 # ---- top-k --------------------------------------------------------------------------------
 
 
