@@ -164,3 +164,12 @@ def test_knowledge(spark, sf):
     assert len(k.category) == 16 and set(k.region) == {0, 1, 2, 3}
     t = trips(spark, [[0, 1, 5], [10, 11]]).withColumn("hour", F.lit(9))
     assert ngram.ngram_perturb(t, g, 1.0, 2, 1, k).count() == 2
+
+
+def test_compared_method_is_timed_on_all_trips(spark, monkeypatch):
+    from mobility_ldp.plans import workloads
+
+    seen = []
+    monkeypatch.setattr(workloads.ngram, "ngram_perturb", lambda trips, *a, **k: seen.append(trips.count()) or trips)
+    workloads.component_times(spark, "/root/testdata/sf0.01", n=3)
+    assert seen == [workloads._trips(spark, "/root/testdata/sf0.01", "order_walk", 3)[0].count()] and seen[0] > 2000
