@@ -389,8 +389,8 @@ def synthesize_fast(spark, sf):
 register("synthesize_fast", synthesize_fast)
 for _v, _f in ablations.VARIANTS.items():
     if _v != "full":
-        register(f"ablation_{_v}", lambda spark, sf, f=_f: (lambda t, g: as_text(f(spark, t, g, 1.0, 2000, SEED)))(*trips(spark, sf)))
-register("non_private_reference", lambda spark, sf: (lambda t, g: as_text(ablations.non_private(spark, t, g, 2000, SEED)))(*trips(spark, sf)))
+        register(f"ablation_{_v}", lambda spark, sf, f=_f: (lambda t, g: as_text(f(spark, t, g, 1.0, t.count(), SEED)))(*trips(spark, sf)))
+register("non_private_reference", lambda spark, sf: (lambda t, g: as_text(ablations.non_private(spark, t, g, t.count(), SEED)))(*trips(spark, sf)))
 
 
 def ngram_query(spark, sf, n=2):
@@ -440,7 +440,7 @@ register("second_order_counts", second_order_counts, ctes() + ", v AS (SELECT ce
 
 def second_order_synthesis(spark, sf):
     t, g = trips(spark, sf, "customer_walk", 4)
-    return as_text(second_order.synthesize(spark, *second_order.fit(t, g, 2.0, seed=SEED), 1000, SEED))
+    return as_text(second_order.synthesize(spark, *second_order.fit(t, g, 2.0, seed=SEED), t.count(), SEED))
 
 
 register("second_order_synthesis", second_order_synthesis)

@@ -154,3 +154,11 @@ def test_report_bits():
     from mobility_ldp.operators.budget import report_bits
 
     assert report_bits(36, 220, 9) == {"length": 36, "moves": 1980, "ends": 72, "total": 2088}
+
+
+def test_registered_syntheses_make_as_many_trips_as_there_are(spark, sf):
+    from mobility_ldp.plans import queries
+
+    found = dict(__import__("__spark_entry__").queries())
+    for name, args in (("ablation_no_endpoints", ()), ("non_private_reference", ()), ("second_order_synthesis", ("customer_walk", 4))):
+        assert found[name](spark, sf).count() == queries.trips(spark, sf, *args)[0].count()
