@@ -168,22 +168,74 @@ def passage_sets(n, seed=3):
     return [sorted(x for k in p for x in pool[k]) for p in dict.fromkeys(picks)]
 
 
-def test_links_of_one_crowded_bucket(spark, monkeypatch):
-    sets = passage_sets(240)
+@pytest.mark.parametrize(("n", "block", "wide"), [(240, 256, 1024), (240, 16, 1024), (40, 8, 4)])
+def test_links_of_one_crowded_bucket(spark, monkeypatch, n, block, wide):
+    """As one block, strewn and in tiles, and by what the texts differ from their pivot by."""
+    sets = passage_sets(n)
     monkeypatch.setattr(near_dedup, "_sets", lambda n: fixed_sets)
+    monkeypatch.setattr(near_dedup, "BLOCK", block)
+    monkeypatch.setattr(near_dedup, "WIDE", wide)
 
     def fixed_sets(batches):
         for b in batches:
-            at = [int(x) for x in b.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array([sets[k] for k in at], pa.list_(pa.int64()))], ["key", "sh"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([sets[int(x)] for x in b.column(1).to_pylist()], pa.list_(pa.int64()))], ["node", "sh"])
 
-    texts = spark.createDataFrame([(k, str(k)) for k in range(len(sets))], "row_key long, text string")
-    keys = spark.createDataFrame([(k, k, k, len(x), [1]) for k, x in enumerate(sets)], "id long, key long, row_key long, size long, bands array<long>")
+    texts = spark.createDataFrame([(k, 0, str(k)) for k in range(len(sets))], "ra long, rb long, text string")
+    keys = spark.createDataFrame([(k, k, 0, len(x), [1]) for k, x in enumerate(sets)], "node long, ra long, rb long, size long, bands array<long>")
     near = {(a, b) for a in range(len(sets)) for b in range(a) if len(set(sets[a]) & set(sets[b])) >= 0.8 * len(set(sets[a]) | set(sets[b]))}
     found = near_dedup.links(texts, keys)
-    assert {(x["a"], x["b"]) for x in found.collect()} <= near and len(near) > 100
-    root = {x["key"]: x["root"] for x in near_dedup.components(found).collect()}
-    assert [p for p in sorted(near) if root.get(p[0], p[0]) != root.get(p[1], p[1])] == []
+    root = {x["node"]: x["root"] for x in near_dedup.components(found).collect()}
+    assert [p for p in sorted(near) if root.get(p[0], p[0]) != root.get(p[1], p[1])] == [] and len(near) > 10
+    # nothing is linked that no chain of near pairs joins
+    brute = list(range(len(sets)))
+    for _ in range(len(sets)):
+        for a, b in near:
+            brute[a] = brute[b] = min(brute[a], brute[b])
+    assert all(brute[x["a"]] == brute[x["b"]] for x in found.collect())
+
+
+def test_forest_at_the_exact_threshold():
+    third = near_dedup.Fraction("0.8")
+    for size in range(4, 60, 4):
+        x = np.arange(size)
+        y = np.arange(size + size // 4)  # Jaccard of exactly 0.8
+        z = np.arange(size + size // 4 + 1)
+        for other, same in ((y, True), (z, False)):
+            values = np.concatenate([x, other, [10**6]])
+            bounds = np.array([0, len(x), len(x) + len(other), len(values)])
+            assert near_dedup.forest(values, bounds, third).tolist() == [0, 0 if same else 1, 2]
+        assert near_dedup.slots(size, third) == size // 4 + 1
+    values = np.concatenate([np.sort(np.random.default_rng(k).choice(30_000, 9_000, False)) for k in range(3)])
+    assert near_dedup.forest(np.concatenate([values, values[:9_000]]), np.arange(5) * 9_000, third).tolist() == [0, 1, 2, 0]
+
+
+def test_one_large_group_of_near_copies(spark):
+    """2,000 copies with more and less edits: the classes of all pairs."""
+    r, w, texts = random.Random(4), prose(77, 140).split(), []
+    for k in range(2000):
+        v = list(w)
+        for _ in range(r.randrange(0, 7)):
+            v[r.randrange(len(v))] = r.choice(w) if k % 3 else f"new{r.randrange(40)}"
+        texts.append(" ".join(v))
+    ids, rows, cols, sizes = {}, [], [], []
+    for k, t in enumerate(texts):
+        own = shingle_set(t)
+        rows += [k] * len(own)
+        cols += [ids.setdefault(x, len(ids)) for x in own]
+        sizes.append(len(own))
+    m = np.zeros((len(texts), len(ids)), np.float32)
+    m[rows, cols] = 1
+    both, size = (m @ m.T).astype(np.int64), np.array(sizes)
+    linked = 9 * both >= 4 * (size[:, None] + size[None])
+    label = np.arange(len(texts))
+    while True:
+        least = np.where(linked, label[None], len(texts)).min(1)
+        if (least == label).all():
+            break
+        label = least
+    got = {x["id"]: x["class_id"] for x in near_dedup.classes(frame(spark, texts, extra=False)).collect()}
+    assert [got[k] for k in range(len(texts))] == label.tolist()
+    assert len(set(label.tolist())) > 50
 
 
 def test_signatures_estimate_probability_jaccard():
@@ -202,7 +254,7 @@ def test_signatures_estimate_probability_jaccard():
 
 def test_components_of_a_chain(spark):
     e = spark.createDataFrame([(k, k + 1) for k in range(40)] + [(100, 101)], "a long, b long")
-    got = {x["key"]: x["root"] for x in near_dedup.components(e).collect()}
+    got = {x["node"]: x["root"] for x in near_dedup.components(e).collect()}
     assert got == {**{k: 0 for k in range(1, 41)}, 101: 100}
 
 
@@ -213,7 +265,7 @@ def test_shingles_by_bytes():
     s, e, per = textops.words(data, offsets)
     assert [data[a:b].tobytes().decode() for a, b in zip(s, e)] == ["A", "b", "c", "é", "É", "x", *texts[3].split()]
     h, b, size, whole = near_dedup.shingles(data, offsets, textops.RangeHash(near_dedup.BASE))
-    assert np.diff(b).tolist() == [1, 0, 1, 2] and size.tolist() == [3, 0, 3, 6] and len(set(whole.tolist())) == 4
+    assert np.diff(b).tolist() == [1, 0, 1, 2] and size.tolist() == [3, 0, 3, 6] and all(len(set(x.tolist())) == 4 for x in whole)
 
 
 # ---- chat ---------------------------------------------------------------------------
