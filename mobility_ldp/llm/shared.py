@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -15,12 +16,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors see: spark.checkpoint.dir, or a temporary one where that is unset (tests, one machine)."""
+    """The folder all executors see: spark.checkpoint.dir, or a temporary one where that is unset and all runs in one machine (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         known = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = known.get() if known.isDefined() else None
     if not found:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         found = tempfile.mkdtemp(prefix="checkpoints-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -50,6 +53,16 @@ def spare(df: DataFrame, name: str) -> str:
     return name
 
 
+def beside(old: list[str], new: list[str]) -> list[str]:
+    """old and new names, the new ones suffixed by _ until they clash with none before."""
+    out = list(old)
+    for name in new:
+        while name.lower() in {x.lower() for x in out}:
+            name += "_"
+        out.append(name)
+    return out
+
+
 def ascii_lower(text):
     """A-Z lower-cased, nothing else. Texts of one byte a character take the fast built-in."""
     plain = F.octet_length(text) == F.char_length(text)

@@ -476,11 +476,11 @@ def test_packing(spark):
         assert x["offset"] == 0 and x["length"] == 1 << x["bucket"] <= 1024 and len(x["ids"]) == 4 * x["length"]
     for k, t in enumerate(texts):
         want = tok.encode(t or "", add_special_tokens=False).ids + [0]
-        own = sorted(by[k], key=lambda x: x["start"])
+        own = sorted(by[k], key=lambda x: x["start_"])
         got = np.concatenate([np.frombuffer(x["ids"], "<u4") for x in own])
         assert got.tolist() == want and own[0]["doc_tokens"] == len(want)
         assert [x["length"] for x in own] == packing.pieces(len(want), 1024)
-        assert [x["start"] for x in own] == np.cumsum([0, *[x["length"] for x in own]])[:-1].tolist()
+        assert [x["start_"] for x in own] == np.cumsum([0, *[x["length"] for x in own]])[:-1].tolist()
     assert packing.padding(packing.pack(frame(spark, texts))).where("padded > 0").count() == 0
     assert packing.pack(frame(spark, []).limit(0)).count() == 0
     with pytest.raises(ValueError):
@@ -566,6 +566,38 @@ def test_the_field_learns_its_table():
     assert good / total > 0.9
 
 
+HELD = """
+ask [[email|nina_k (at) web (dot) fr]] about it
+contact [[email|support [at] shop [dot] net]] soon
+my number is [[phone|(646) 555-0187]] ok
+ring [[phone|07 55 51 20 14]] later
+the host [[ip|172 . 16 . 4 . 12]] was down
+paid with card [[card|4242.4242.4242.4242]] today
+she sat at the dot of the map, at noon
+| left | right | 12 | 2031 | 4.5 |
+from 1811-1820 to 2.5.7 of 100 000 000 in 12:30:45
+go go go go go go go go go go go go
+digest 0bb3fce0c31ad44167de7d05e47a1227f75a4816
+""".strip().splitlines()
+
+
+def test_shapes_that_no_training_line_has():
+    ranges, model = textops.RangeHash(0x5851F42D4C957F2D), pii.fit()
+    good = wrong = wanted = 0
+    for line in HELD:
+        text, want = "", set()
+        for part in re.split(r"(\[\[\w+\|.*?\]\](?!\]))", line):
+            m = re.fullmatch(r"\[\[(\w+)\|(.*)\]\]", part)
+            if m:
+                want.add((m[1], len(text), len(text) + len(m[2])))
+            text += m[2] if m else part
+        base, every = next(pii.find(pa.array([text]), model, ranges))
+        got = {(k, *x) for k, v in every.items() for x in v}
+        assert not any(base.values())  # the base patterns know none of them
+        good, wrong, wanted = good + len(got & want), wrong + len(got - want), wanted + len(want)
+    assert wanted == 6 and good >= 5 and wrong == 0
+
+
 # ---- languages ---------------------------------------------------------------------------------------------
 
 
