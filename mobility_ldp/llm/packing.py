@@ -106,18 +106,18 @@ def pack(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte_bpe_50k
     """One row per piece: docs' columns but the text, then start, length, doc_tokens, ids (little-endian
     unsigned 32-bit), sequence_id, offset and bucket (log2 of the length).
 
-    max_len is a power of two. Clashing names of docs' columns are dropped in favour of the new ones.
+    max_len is a power of two. New names that docs has too are suffixed by _.
     """
     if max_len < 1 or max_len & (max_len - 1):
         raise ValueError("max_len must be a power of two")
     new = ["start", "length", "doc_tokens", "ids", "sequence_id", "offset", "bucket"]
-    keep = [c for c in docs.columns if c.lower() not in new and c != text_col]
-    now = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").alias("text__"))
+    keep = [c for c in docs.columns if c != text_col]
+    now = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`")).toDF(*[f"c{k}" for k in range(len(keep))], "text__")
     names = [f"c{k}" for k in range(len(keep))] + new[:4]
     fields = [T.StructField(n, f.dataType) for n, f in zip(names, now.schema.fields[:-1], strict=False)]
     fields += [T.StructField(n, T.LongType()) for n in new[:3]] + [T.StructField("ids", T.BinaryType())]
-    out = now.mapInArrow(textops.tidy(_pack(len(keep), tokenizer, end_id, max_len, names)), T.StructType(fields)).toDF(*keep, *new[:4])
-    return out.withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long"), "bucket": F.log2(F.col("length")).cast("int")})
+    out = now.mapInArrow(textops.tidy(_pack(len(keep), tokenizer, end_id, max_len, names)), T.StructType(fields))
+    return out.withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long"), "bucket": F.log2(F.col("length")).cast("int")}).toDF(*shared.beside(keep, new))
 
 
 def write_buckets(packed: DataFrame, path: str) -> None:
