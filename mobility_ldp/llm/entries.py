@@ -8,4 +8,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_decontaminate": decontaminate.SQL, "op2_minhash": near_dedup.SQL, "op3_chat": chat.SQL, "op5_licence": licences.sql(), "op6_topk": topk.SQL, "op7_line_dedup": line_dedup.SQL}
+    return {"op1_decontaminate": decontaminate.SQL, "op2_minhash": near_dedup.SQL, "op3_chat": chat.SQL, "op4_url": urlrules.sql(), "op5_licence": licences.sql(), "op6_topk": topk.SQL, "op7_line_dedup": line_dedup.SQL}
