@@ -123,8 +123,11 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = K, id_col: str = "ve
     spark = vectors.sparkSession
     base = _valid(vectors, id_col, vec_col)
     asked, path = shared.put(_valid(queries, id_col, vec_col).distinct(), "queries")
-    blocks = max(1, -(-asked.count() // block_rows) * (2 if asked.count() > block_rows else 1))
-    found = None
+    n = asked.count()
+    # hashed blocks of block_rows on average; a block more for every two, so that few are larger
+    blocks = 1 if n <= block_rows else -(-3 * n // (2 * block_rows))
+    order = [F.col("score").desc(), F.col("vec_id")]
+    lists, sent = [], None
     for k_block in range(blocks):
         own = asked.where(F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks)) == k_block) if blocks > 1 else asked
         rows = own.toPandas()
@@ -136,14 +139,18 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = K, id_col: str = "ve
             qm[int(d)] = quantise(np.array(rows["v"].iloc[mine].tolist(), float).reshape(len(mine), int(d)), scale)
             qno[int(d)] = mine.astype(np.int64)
         sent = spark.sparkContext.broadcast((qid, qm, qno))
-        part = base.mapInArrow(_search(sent, k, scale, TILE_ROWS, QUERY_ROWS), "query_no long, query_id long, vec_id long, score long")
-        part = part.withColumn("block", F.lit(k_block)).withColumn("group", (F.spark_partition_id() / FAN_IN).cast("int"))
-        found = part if found is None else found.unionByName(part)
+        found = base.mapInArrow(_search(sent, k, scale, TILE_ROWS, QUERY_ROWS), "query_no long, query_id long, vec_id long, score long").withColumn("group", (F.spark_partition_id() / FAN_IN).cast("int"))
+        first = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_no", "group").orderBy(*order))).where(F.col("rank") <= k)
+        last = first.withColumn("rank", F.row_number().over(Window.partitionBy("query_no").orderBy(*order))).where(F.col("rank") <= k)
+        lists.append(last.select("query_id", "rank", "vec_id", "score"))
+        if blocks > 1:  # one block after the other: the driver and the executors hold the queries of one
+            lists[-1], _ = shared.put(lists[-1], "top-lists")
+            sent.destroy()
     shared.remove(spark, path)
-    order = [F.col("score").desc(), F.col("vec_id")]
-    first = found.withColumn("rank", F.row_number().over(Window.partitionBy("block", "query_no", "group").orderBy(*order))).where(F.col("rank") <= k)
-    last = first.withColumn("rank", F.row_number().over(Window.partitionBy("block", "query_no").orderBy(*order))).where(F.col("rank") <= k)
-    return last.select("query_id", "rank", "vec_id", "score")
+    out = lists[0]
+    for x in lists[1:]:
+        out = out.unionByName(x)
+    return out
 
 
 def op6(spark, sf_dir: str) -> DataFrame:
