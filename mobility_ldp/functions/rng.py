@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import hashlib
+import os
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -43,6 +46,26 @@ def keyed(seed: int, ids: np.ndarray, salt: int = 0) -> np.ndarray:
     return mix(mix(ids.astype(np.int64).view(np.uint64) * np.uint64(_GOLDEN) + start) + np.uint64(salt & _MASK))
 
 
+def new_secret() -> bytes:
+    """A key that nobody knows."""
+    return os.urandom(32)
+
+
+def public(seed: int | None) -> int:
+    """A seed for draws that need not be secret: the given one, or a new one."""
+    return int.from_bytes(os.urandom(6), "little") if seed is None else seed
+
+
+def secret_words(secret: bytes, ids: np.ndarray, salt: int, n: int) -> np.ndarray:
+    """len(ids) x n 32-bit numbers: SHAKE-128 of the secret, the salt and the id. Without the secret they cannot be told from random ones."""
+    out, head = np.empty((len(ids), n), np.uint32), hashlib.shake_128(secret + salt.to_bytes(8, "little"))
+    for row, own in enumerate(ids.astype(np.int64).view(np.uint64).tolist()):
+        h = head.copy()
+        h.update(own.to_bytes(8, "little"))
+        out[row] = np.frombuffer(h.digest(4 * n), "<u4")
+    return out
+
+
 def floats(bits: np.ndarray) -> np.ndarray:
     """64 random bits as numbers in [0, 1)."""
     return (bits >> np.uint64(11)).astype(np.float64) * 2.0**-53

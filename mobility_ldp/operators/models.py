@@ -10,6 +10,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions import rng
 from ..functions.cells import cell_x, cell_y
 from . import oue
 from .budget import BudgetPlan, plan_budget
@@ -189,7 +190,7 @@ def fit(
     eps: float,
     k: float = 0.9,
     scheme: str = "default",
-    seed: int = 0,
+    seed: int | None = None,
     max_len: int | None = None,
     shares: tuple[float, float, float] | None = None,
     which: str = "first",
@@ -206,9 +207,11 @@ def fit(
 
     The first pass collects lengths; l_k, their k-quantile, is then public, and the second pass collects moves,
     begins and ends. policy="padded" sends l_k reports of moves for every trip; "as_described" sends one per move.
+    seed: None for reports whose noise is secret; a number repeats an experiment, and protects nobody.
     endpoints=False: no virtual cells; their budget goes to the moves. pooled=True: one domain for all transitions.
     """
     max_len = max_len or grid.cells
+    second = None if seed is None else seed + 1
     e1 = eps if math.isinf(eps) else (shares[0] if scheme == "custom" and shares else eps / 10)
     got = oue.fused(trips, [("length", length_item(max_len), 0, max_len, e1)], seed).collect()
     lengths = np.maximum(_vector(got, "length", max_len, e1), 0)
@@ -218,14 +221,14 @@ def fit(
     plan = plan_budget(eps, l_k, scheme, shares, max_len)
     plan.spend("length", plan.e1 if not math.isinf(eps) else 0.0)
     s, c = grid.states, grid.cells
-    moves = F.filter(kept_moves(state_items(grid), l_k, which, seed), lambda x: x >= 0)
+    moves = F.filter(kept_moves(state_items(grid), l_k, which, rng.public(seed)), lambda x: x >= 0)
     first, last = F.col("cells")[0], F.element_at("cells", -1)
     cut = (lambda x, n: norm_sub(x, n)) if post == "norm_sub" else (lambda x, n: np.maximum(x, 0))
     n_trips = sum(r["n"] for r in got if r["item"] == 0)
     if pooled:
         each = plan.per_move if not math.isinf(eps) else eps
         own = F.concat(F.array(first + s, last + s + c), moves)
-        counts = oue.fused(trips, [("all", own, l_k + 2, s + 2 * c, each)], seed + 1).collect()
+        counts = oue.fused(trips, [("all", own, l_k + 2, s + 2 * c, each)], second).collect()
         plan.spend("all", each * (l_k + 2) if not math.isinf(eps) else 0.0)
         states = cut(_vector(counts, "all", s + 2 * c, each), n_trips * (l_k + 2))
     else:
@@ -237,11 +240,11 @@ def fit(
         if policy == "as_described":
             # one report for each move: rows of single moves, keyed by trip and step
             each = trips.select("traj_id", F.posexplode(moves).alias("k", "m")).select((F.xxhash64("traj_id", "k")).alias("traj_id"), "m")
-            counts = oue.fused(each, [("intra", F.col("m"), 0, s, e_move)], seed + 1).collect()
+            counts = oue.fused(each, [("intra", F.col("m"), 0, s, e_move)], second).collect()
             if endpoints:
-                counts += oue.fused(trips, features[1:], seed + 1).collect()
+                counts += oue.fused(trips, features[1:], second).collect()
         else:
-            counts = oue.fused(trips, features, seed + 1).collect()
+            counts = oue.fused(trips, features, second).collect()
         plan.spend("moves", e_move * l_k if not math.isinf(eps) else 0.0)
         states = np.zeros(s + 2 * c)
         states[:s] = cut(_vector(counts, "intra", s, e_move), n_trips * l_k)

@@ -7,8 +7,11 @@ is then put together anew: of all ways over touching cells, the one whose
 cells are nearest to all sampled windows. That program is a chain, so dynamic
 programming solves it exactly. n = 1 is the point-wise mechanism.
 
-With Knowledge, distance also counts a change of category and of region, and
-windows with a closed place are not feasible; regions are drawn first.
+With Knowledge, distance also counts a change of category, of region and of
+opening hours, and runs through places that are closed at the trip's hour are
+not feasible. Runs are then drawn in two levels, each with half of the window's
+budget: first the region of the run's first cell, by the distance of regions,
+then a run that starts there.
 """
 
 from __future__ import annotations
@@ -33,6 +36,7 @@ class Knowledge:
     open_hours: np.ndarray
     category_weight: float = 1.0
     region_weight: float = 0.5
+    time_weight: float = 0.5
 
 
 def feasible(grid: Grid, n: int) -> np.ndarray:
@@ -51,31 +55,44 @@ class Perturber:
         self.dist = self.dist / (self.dist.max() or 1.0)
         if knowledge is not None:
             self.dist = self.dist + knowledge.category_weight * (knowledge.category[:, None] != knowledge.category[None]) + knowledge.region_weight * (knowledge.region[:, None] != knowledge.region[None])
+            hours = knowledge.open_hours[knowledge.category].astype(float)
+            either = np.maximum(hours[:, None], hours[None]).sum(2)
+            self.dist = self.dist + knowledge.time_weight * (1 - np.minimum(hours[:, None], hours[None]).sum(2) / np.maximum(either, 1))
+            self.regions = np.unique(knowledge.region)
+            middle = np.array([centre[knowledge.region == r].mean(0) for r in self.regions])
+            apart = np.linalg.norm(middle[:, None] - middle[None], axis=-1)
+            self.apart = apart / (apart.max() or 1.0)
         self.grams = {k: feasible(grid, k) for k in range(1, n + 1)}
         near = np.array([[c, *grid.neighbours(c)] + [-1] * (8 - len(grid.neighbours(c))) for c in range(grid.cells)])
         self.near = near[:, 1:]
 
-    def draw(self, window: np.ndarray, eps_w: float, u: float, hour: int) -> np.ndarray:
-        """One feasible run in place of the window."""
+    def chances(self, window: np.ndarray, eps_w: float, hour: int) -> np.ndarray:
+        """The probability of each feasible run of the window's length, by the exponential mechanism."""
         runs = self.grams[len(window)]
+        if self.know is not None:
+            eps_w = eps_w / 2  # the other half is for the region
         d = sum(self.dist[window[k]][runs[:, k]] for k in range(len(window)))
         widest = self.dist.max() * len(window) or 1.0
         score = -eps_w * d / (2 * widest)
-        if self.know is not None:
-            shut = ~self.know.open_hours[self.know.category[runs], hour].all(1)
-            if not shut.all():
-                score[shut] = -np.inf
-            # hierarchy: the region of the first cell is drawn first, by the mass of its runs
-            region = self.know.region[runs[:, 0]]
-            w = np.exp(score - score.max())
-            mass = np.cumsum(np.bincount(region, w))
-            r = int(np.searchsorted(mass, u * mass[-1], "right"))
-            lo = mass[r - 1] if r else 0.0
-            u = (u * mass[-1] - lo) / max(mass[r] - lo, 1e-300)
-            w[region != r] = 0.0
-        else:
+        if self.know is None:
             w = np.exp(score - score.max())
-        c = np.cumsum(w)
+            return w / w.sum()
+        # what is closed depends on the hour alone, which is public
+        shut = ~self.know.open_hours[self.know.category[runs], hour].all(1)
+        if not shut.all():
+            score[shut] = -np.inf
+        own = np.searchsorted(self.regions, self.know.region[runs[:, 0]])
+        level = -eps_w * self.apart[np.searchsorted(self.regions, self.know.region[window[0]])] / 2
+        top = np.full(len(self.regions), -np.inf)
+        np.maximum.at(top, own, score)
+        there = np.isfinite(top)
+        first = np.where(there, np.exp(level - level[there].max()), 0.0)
+        w = np.where(np.isfinite(score), np.exp(score - np.where(there, top, 0.0)[own]), 0.0)
+        return (first / first.sum())[own] * w / np.bincount(own, w, len(self.regions))[own].clip(1e-300)
+
+    def draw(self, window: np.ndarray, eps_w: float, u: float, hour: int) -> np.ndarray:
+        """One feasible run in place of the window."""
+        runs, c = self.grams[len(window)], np.cumsum(self.chances(window, eps_w, hour))
         return runs[min(int(np.searchsorted(c, u * c[-1], "right")), len(runs) - 1)]
 
     def rebuild(self, cost: np.ndarray) -> np.ndarray:
@@ -94,11 +111,15 @@ class Perturber:
             out[k - 1] = came[k, out[k]]
         return out
 
-    def perturb(self, traj_id: int, cells: np.ndarray, seed: int, hour: int = 12) -> np.ndarray:
+    def perturb(self, traj_id: int, cells: np.ndarray, seed: int | bytes, hour: int = 12) -> np.ndarray:
+        """A trip in place of cells; seed is a number for experiments, or a secret key."""
         m, n = len(cells), self.n
         spans = [(max(0, a), min(m, a + n)) for a in range(1 - n, m)]
         eps_w = self.eps / len(spans)
-        u = rng.floats(rng.mix(rng.keyed(seed, np.array([traj_id]), 5) + np.arange(len(spans), dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93)))
+        if isinstance(seed, bytes):
+            u = rng.floats(rng.secret_words(seed, np.array([traj_id]), 5, 2 * len(spans)).reshape(-1).view(np.uint64))
+        else:
+            u = rng.floats(rng.mix(rng.keyed(seed, np.array([traj_id]), 5) + np.arange(len(spans), dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93)))
         cost = np.zeros((m, self.grid.cells))
         for (a, b), x in zip(spans, u, strict=True):
             for k, c in enumerate(self.draw(cells[a:b], eps_w, float(x), hour)):
@@ -106,14 +127,15 @@ class Perturber:
         return self.rebuild(cost) if self.grid.cells > 1 else np.zeros(m, np.int64)
 
 
-def ngram_perturb(trips: DataFrame, grid: Grid, eps: float, n: int = 2, seed: int = 0, knowledge: Knowledge | None = None) -> DataFrame:
+def ngram_perturb(trips: DataFrame, grid: Grid, eps: float, n: int = 2, seed: int | None = None, knowledge: Knowledge | None = None) -> DataFrame:
     """(traj_id, cells, n_cells): each trip perturbed in place, with its own id and length. With knowledge, an hour column (0..23) is used if there is one."""
     worker = Perturber(grid, eps, n, knowledge)
+    key = rng.new_secret() if seed is None else seed
 
     def run(batches):
         for batch in batches:
             ids, hours = batch.column(0).to_pylist(), batch.column(2).to_pylist()
-            out = [worker.perturb(i, np.array(c), seed, h).astype(np.int32) if c else np.zeros(0, np.int32) for i, c, h in zip(ids, batch.column(1).to_pylist(), hours, strict=True)]
+            out = [worker.perturb(i, np.array(c), key, h).astype(np.int32) if c else np.zeros(0, np.int32) for i, c, h in zip(ids, batch.column(1).to_pylist(), hours, strict=True)]
             size = np.array([len(x) for x in out], np.int32)
             lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), pa.array(np.concatenate([np.zeros(0, np.int32), *out])))
             yield pa.RecordBatch.from_arrays([batch.column(0), lists, pa.array(size)], ["traj_id", "cells", "n_cells"])

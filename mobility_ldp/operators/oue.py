@@ -5,7 +5,10 @@ q = 1 / (e^eps + 1). eps = inf gives exact counts (the non-private reference).
 The "sql" engine is built of column functions over keyed md5 uniforms and can
 be repeated by other SQL engines. The fused engine perturbs and counts in one
 pass over Arrow batches and hands on sums only, so no report is ever stored;
-its uniforms are keyed too, so retries and partitioning change nothing.
+its uniforms are keyed too, so retries and partitioning change nothing. The key
+is a secret, drawn anew for each collection: who knew it and the ids could take
+the noise off again. A seed in its place is for experiments and tests only, as
+its noise protects nobody.
 """
 
 from __future__ import annotations
@@ -90,12 +93,16 @@ def _uniform_words(keys: np.ndarray, d: int) -> np.ndarray:
 
 def raised(keys: np.ndarray, items: np.ndarray, d: int, eps: float) -> np.ndarray:
     """len(items) x d bits: perturbed one-hot vectors; item -1 is the null report."""
+    return raised_by(None if math.isinf(eps) else _uniform_words(keys, d), items, d, eps)
+
+
+def raised_by(words: np.ndarray | None, items: np.ndarray, d: int, eps: float) -> np.ndarray:
+    """The same from len(items) x d uniform 32-bit words; none are needed where eps is inf."""
     if math.isinf(eps):
         out = np.zeros((len(items), d), bool)
         ok = items >= 0
         out[np.flatnonzero(ok), items[ok]] = True
         return out
-    words = _uniform_words(keys, d)
     out = words < np.uint32(min(0xFFFFFFFF, round(q_of(eps) * 2**32)))
     ok = np.flatnonzero(items >= 0)
     out[ok, items[ok]] = words[ok, items[ok]] < np.uint32(0x80000000)
@@ -106,7 +113,7 @@ def raised(keys: np.ndarray, items: np.ndarray, d: int, eps: float) -> np.ndarra
 BLOCK_BITS = 1 << 21
 
 
-def _fused(features, seed):
+def _fused(features, seed, secret):
     """features: (name, column place, width in reports or 0 for one, domain, eps)."""
 
     def run(batches):
@@ -122,14 +129,23 @@ def _fused(features, seed):
                     row = np.repeat(np.arange(len(ids)), size)
                     place = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
                     items[row, place] = col.values.to_numpy(zero_copy_only=False)[offsets[:-1][row] + place]
-                    keys = rng.mix(rng.keyed(seed, ids, salt)[:, None] + np.arange(width, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93)).reshape(-1)
-                    items = items.reshape(-1)
                 else:
-                    items, keys = col.fill_null(-1).to_numpy().astype(np.int64), rng.keyed(seed, ids, salt)
-                step = max(1, BLOCK_BITS // d)
-                for a in range(0, len(items), step):
-                    total[name][:d] += raised(keys[a : a + step], items[a : a + step], d, eps).sum(0)
-                total[name][d] += len(items)
+                    items = col.fill_null(-1).to_numpy().astype(np.int64)[:, None]
+                each = items.shape[1]
+                step = max(1, BLOCK_BITS // (d * each))
+                for a in range(0, len(ids), step):
+                    own = ids[a : a + step]
+                    if math.isinf(eps):
+                        words = None
+                    elif secret is not None:
+                        words = rng.secret_words(secret, own, salt, each * d).reshape(-1, d)
+                    else:
+                        keys = rng.keyed(seed, own, salt)
+                        if width:
+                            keys = rng.mix(keys[:, None] + np.arange(width, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93)).reshape(-1)
+                        words = _uniform_words(keys, d)
+                    total[name][:d] += raised_by(words, items[a : a + step].reshape(-1), d, eps).sum(0)
+                total[name][d] += items.size
         names, item, ones, n = [], [], [], []
         for name, x in total.items():
             d = len(x) - 1
@@ -142,17 +158,20 @@ def _fused(features, seed):
     return run
 
 
-def fused(trips: DataFrame, features: list[tuple[str, Column, int, int, float]], seed: int = 0) -> DataFrame:
+def fused(trips: DataFrame, features: list[tuple[str, Column, int, int, float]], seed: int | None = None, secret: bytes | None = None) -> DataFrame:
     """(feature, item, ones, n): perturbed and counted in one pass.
 
     features: (name, items, width, domain, eps). items is an INT column (width 0: one report per trip), or an
     ARRAY<INT> of which width reports are made, null reports filling up, so that their number tells nothing.
-    Each task hands on one row per item; no id and no report leaves it.
+    Each task hands on one row per item; no id and no report leaves it. The noise is keyed by secret, or by a new
+    one; a repeated run of the same DataFrame, or a retried task, raises the same bits. With a seed it is not private.
     """
+    if seed is None and secret is None:
+        secret = rng.new_secret()
     cols = [c.alias(f"f{k}") for k, (_, c, _, _, _) in enumerate(features)]
     spec = [(name, k + 1, width, d, eps) for k, (name, _, width, d, eps) in enumerate(features)]
     own = trips.select(F.col("traj_id").cast("bigint"), *cols)
-    sums = own.mapInArrow(_fused(spec, seed), "feature string, item int, ones long, n long")
+    sums = own.mapInArrow(_fused(spec, seed, secret), "feature string, item int, ones long, n long")
     return sums.groupBy("feature", "item").agg(F.sum("ones").alias("ones"), F.sum("n").alias("n"))
 
 

@@ -48,12 +48,12 @@ def with_runs(trips: DataFrame, grid: Grid) -> DataFrame:
     return t.select("traj_id", "cells", "n_cells", run_items(grid).alias("runs"))
 
 
-def fit(trips: DataFrame, grid: Grid, eps: float, k: float = 0.9, seed: int = 0, share: float = 0.5) -> tuple[models.Model, np.ndarray]:
+def fit(trips: DataFrame, grid: Grid, eps: float, k: float = 0.9, seed: int | None = None, share: float = 0.5) -> tuple[models.Model, np.ndarray]:
     """A first-order model from the one part of eps, and settled counts of all runs from the other."""
     first = models.fit(trips, grid, eps if math.isinf(eps) else eps * share, k, seed=seed)
     l_k, d = max(1, first.plan.l_k - 1), len(runs(grid))
     each = eps if math.isinf(eps) else eps * (1 - share) / l_k
-    counts = oue.fused(with_runs(trips, grid), [("runs", F.slice("runs", 1, l_k), l_k, d, each)], seed + 7).collect()
+    counts = oue.fused(with_runs(trips, grid), [("runs", F.slice("runs", 1, l_k), l_k, d, each)], None if seed is None else seed + 7).collect()
     return first, np.maximum(models._vector(counts, "runs", d, each), 0)
 
 

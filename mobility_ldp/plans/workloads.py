@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 import time
 
+import numpy as np
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -50,7 +51,7 @@ def _all(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def utility(spark, sf_dir, sources=("order_walk", "userday_walk"), epses=(1.0, 50.0), methods=METHODS, seeds=(1,), n=4) -> DataFrame:
+def utility(spark, sf_dir, sources=("order_walk", "userday_walk", "customer_walk"), epses=(0.5, 1.0, 1.5), methods=METHODS, seeds=(1,), n=4) -> DataFrame:
     """Nine measures by source, eps and method, averaged over seeds."""
     parts = []
     for s in sources:
@@ -62,10 +63,13 @@ def utility(spark, sf_dir, sources=("order_walk", "userday_walk"), epses=(1.0, 5
     return _all(parts).groupBy("source", "eps", "method", "metric").agg(F.avg("value").alias("value"))
 
 
-def ablation(spark, sf_dir, source="order_walk", eps=50.0, n=4, seed=1) -> DataFrame:
-    """Nine measures of the full method and of three with a part taken out."""
-    trips, grid = _trips(spark, sf_dir, source, n)
-    return _all([_tagged(metrics.evaluate_all(trips, published(spark, trips, grid, v, eps, seed), grid), variant=v) for v in (*ablations.VARIANTS, "non_private")])
+def ablation(spark, sf_dir, sources=("order_walk", "userday_walk"), eps=1.0, n=4, seed=1) -> DataFrame:
+    """Nine measures of the full method and of three with a part taken out, by source."""
+    parts = []
+    for s in sources:
+        trips, grid = _trips(spark, sf_dir, s, n)
+        parts += [_tagged(metrics.evaluate_all(trips, published(spark, trips, grid, v, eps, seed), grid), source=s, variant=v) for v in (*ablations.VARIANTS, "non_private")]
+    return _all(parts)
 
 
 def component_times(spark, sf_dir, source="order_walk", n=6, eps=1.0, with_ngram=True, seed=1) -> DataFrame:
@@ -92,8 +96,13 @@ def component_times(spark, sf_dir, source="order_walk", n=6, eps=1.0, with_ngram
     counts = oue.fused(trips, [length], seed).persist()
     counts.count()
     timed("curator: preparation", lambda: models.length_quantile(models.length_model(oue.settle(oue.estimate(counts, e.e1)))).collect())
-    states = [0.0] * (grid.states + 2 * grid.cells)
-    timed("curator: patterns", lambda: models.build_model(grid, model.lengths, __import__("numpy").array(states)))
+    reported = oue.fused(trips, [moves, *ends], seed).collect()
+
+    def patterns():
+        parts = [models._vector(reported, name, d, each, total) for name, d, each in (("intra", grid.states, e.per_move), ("begin", grid.cells, e.per_end), ("end", grid.cells, e.per_end))]
+        return models.build_model(grid, model.lengths, np.maximum(np.concatenate(parts), 0))
+
+    timed("curator: patterns", patterns)
     timed("curator: synthesis", synthesis.synthesize(spark, model, total, seed))
     rows.append(("synthesizer total", sum(r[1] for r in rows), sum(r[2] for r in rows)))
     if with_ngram:
@@ -101,7 +110,7 @@ def component_times(spark, sf_dir, source="order_walk", n=6, eps=1.0, with_ngram
     return spark.createDataFrame(rows, "component string, seconds double, per_1000 double")
 
 
-def side_sweep(spark, sf_dir, source="order_walk", sides=(2, 4, 6, 8), eps=50.0, methods=("synthesizer",), seed=1) -> DataFrame:
+def side_sweep(spark, sf_dir, source="order_walk", sides=(2, 4, 6, 8, 10, 12), eps=50.0, methods=METHODS, seed=1) -> DataFrame:
     """(n, method, query_error, seconds, recommended): query error and run time by the grid's side, the guideline's choice marked."""
     p = walks.WALKS[source](spark, sf_dir)
     best = granularity.recommend_for(p, 1 / 15, eps)
@@ -119,14 +128,14 @@ def side_sweep(spark, sf_dir, source="order_walk", sides=(2, 4, 6, 8), eps=50.0,
     return spark.createDataFrame(rows, "n int, method string, query_error double, seconds double, recommended boolean")
 
 
-def lambda_sweep(spark, sf_dir, source="order_walk", lams=(0.5, 1.5, 2.5, 3.5), eps=50.0, seed=1) -> DataFrame:
+def lambda_sweep(spark, sf_dir, source="order_walk", lams=(0.5, 1.5, 2.5, 3.5), eps=1.0, seed=1) -> DataFrame:
     """(lam, n, query_error): the guideline's factor, through the side that it gives."""
     p = walks.WALKS[source](spark, sf_dir)
     rows, known = [], {}
     for lam in lams:
-        n = min(16, granularity.recommend_for(p, 1 / 15, eps, lam))
+        n = granularity.recommend_for(p, 1 / 15, eps, lam)
         if n not in known:
-            known[n] = side_sweep(spark, sf_dir, source, (n,), eps, seed=seed).first()["query_error"]
+            known[n] = side_sweep(spark, sf_dir, source, (n,), eps, ("synthesizer",), seed).first()["query_error"]
         rows.append((float(lam), n, known[n]))
     return spark.createDataFrame(rows, "lam double, n int, query_error double")
 
@@ -138,7 +147,7 @@ def query_size_sweep(spark, sf_dir, source="order_walk", sizes=(1 / 36, 1 / 16,
     return _all([_tagged(metrics.query_error(trips, syn, grid, r=r, points="uniform"), r=float(r)) for r in sizes])
 
 
-def quantile_sweep(spark, sf_dir, source="order_walk", ks=(0.5, 0.7, 0.9, 1.0), eps=50.0, n=4, seed=1) -> DataFrame:
+def quantile_sweep(spark, sf_dir, source="order_walk", ks=(0.5, 0.6, 0.7, 0.8, 0.9, 1.0), eps=50.0, n=4, seed=1) -> DataFrame:
     """(k, metric, value): query error, diameter error, pattern F1, and seconds, by the quantile of lengths."""
     trips, grid = _trips(spark, sf_dir, source, n)
     parts = []
@@ -174,7 +183,7 @@ def knowledge_comparison(spark, sf_dir, eps=1.0, n=4, seed=1, walkers=1000) -> D
     return _all([_tagged(metrics.evaluate_all(trips, s, grid), method=m) for m, s in sets.items()])
 
 
-def attack_comparison(spark, sf_dir, source="userday_walk", eps=50.0, n=6, seed=1, kappas=attacks.KAPPAS, methods=METHODS) -> DataFrame:
+def attack_comparison(spark, sf_dir, source="userday_walk", eps=1.0, n=6, seed=1, kappas=attacks.KAPPAS, methods=METHODS) -> DataFrame:
     """(attack, method, kappa, ratio): both attacks against both methods."""
     trips, grid = _trips(spark, sf_dir, source, n)
     parts = []
@@ -203,7 +212,7 @@ def role_changes(spark, sf_dir, eps=2.0, seed=3) -> DataFrame:
     c = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role")
     pair = F.concat_ws(">", F.lag("role").over(Window.partitionBy("conv_id").orderBy("turn", "role")), "role")
     steps = c.withColumn("pair", pair).where(F.col("pair").contains(">"))
-    names = [r[0] for r in steps.select("pair").distinct().orderBy("pair").limit(64).collect()]
+    names = [r[0] for r in steps.select("pair").distinct().orderBy("pair").collect()]
     item = F.array_position(F.array(*[F.lit(x) for x in names]), F.col("pair")).cast("int") - 1
     counts = oue.fused(steps.select(F.xxhash64("conv_id", "turn").alias("traj_id"), item.alias("item")), [("pair", F.col("item"), 0, len(names), eps)], seed)
     truth = steps.groupBy("pair").agg(F.count("*").alias("f"))

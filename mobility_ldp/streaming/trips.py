@@ -9,6 +9,7 @@ goes on from the last finished batch.
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -16,6 +17,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions import rng
 from ..functions.cells import grid_cell
 from ..operators import models, oue, trajectory
 from ..operators.grid import Grid
@@ -32,7 +34,11 @@ def grid(n: int = SIDE) -> Grid:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    return (spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-")).rstrip("/")
+    """spark.checkpoint.dir, or a temporary folder where that is unset and all runs in one machine (tests)."""
+    found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    return (found or tempfile.mkdtemp(prefix="checkpoints-")).rstrip("/")
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -141,11 +147,13 @@ def drain(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(written(df, name))
 
 
-def collect_reports(stream: DataFrame, g: Grid, eps: float, l_k: int, seed: int = 0, max_len: int | None = None) -> DataFrame:
+def collect_reports(stream: DataFrame, g: Grid, eps: float, l_k: int, seed: int | None = None, max_len: int | None = None) -> DataFrame:
     """Continuous collection: closed sessions are perturbed and counted batch by batch; only sums per batch are stored. Gives (feature, item, ones, n)."""
     spark = stream.sparkSession
     base = f"{shared_dir(spark)}/reports-{uuid.uuid4().hex}"
     max_len = max_len or g.cells
+    # one secret for all batches, so that a batch that is run again sends the same reports
+    secret = rng.new_secret() if seed is None else None
     each = 0.9 * eps / (l_k + 2)
     features = [
         ("length", models.length_item(max_len), 0, max_len, eps / 10),
@@ -156,7 +164,7 @@ def collect_reports(stream: DataFrame, g: Grid, eps: float, l_k: int, seed: int
 
     def store(batch: DataFrame, batch_id: int) -> None:
         # a batch that is run again overwrites its own folder
-        oue.fused(session_trips(batch, g), features, seed).write.mode("overwrite").parquet(f"{base}/out/batch={batch_id}")
+        oue.fused(session_trips(batch, g), features, seed, secret).write.mode("overwrite").parquet(f"{base}/out/batch={batch_id}")
 
     q = sessions(stream).writeStream.foreachBatch(store).option("checkpointLocation", f"{base}/state").outputMode("append").trigger(availableNow=True).start()
     q.awaitTermination()

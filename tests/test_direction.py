@@ -16,7 +16,7 @@ def test_more_budget_helps_and_the_synthesizer_wins(spark):
 
 
 def test_ablation_direction(spark):
-    t = workloads.ablation(spark, SF, "customer_walk", 1e5, n=4)
+    t = workloads.ablation(spark, SF, ("customer_walk",), 1e5, n=4).drop("source")
     v = {(r["variant"], r["metric"]): r["value"] for r in t.collect()}
     assert v["full", "trip_error"] < v["no_endpoints", "trip_error"]
     assert v["full", "density_error"] < v["no_endpoints", "density_error"]

@@ -119,3 +119,49 @@ def test_state_items(spark):
     df = spark.createDataFrame([([0, 1, 4, 8],), ([5],), ([0, 8],)], "cells array<int>")
     got = [r["x"] for r in df.select(models.state_items(g).alias("x")).collect()]
     assert got == [[ids[0, 1], ids[1, 4], ids[4, 8]], [], [-1]]
+
+
+def test_noise_is_secret_by_default(spark, sf):
+    p = walks.order_walk(spark, sf)
+    t = trajectory.assemble(p, make_grid(p, 3))
+    f = [("length", models.length_item(9), 0, 9, 1.0), ("intra", models.kept_moves(models.state_items(make_grid(p, 3)), 3), 3, 40, 1.0)]
+    ask = lambda **k: oue.fused(t, f, **k)
+    one = ask()
+    a, again, b = (sorted(map(tuple, x.collect())) for x in (one, one, ask()))
+    assert a == again and a != b  # a retry raises the same bits, another collection others
+    assert sorted(map(tuple, ask(secret=b"x").collect())) == sorted(map(tuple, ask(secret=b"x").collect()))
+    # both estimate the truth
+    n = t.count()
+    truth = {r[0]: r[1] for r in t.groupBy(models.length_item(9).alias("i")).count().collect()}
+    q, sd = oue.q_of(1.0), oue.variance(n, 1.0, n, exact=True) ** 0.5
+    for rows in (a, b):
+        for name, item, ones, total in rows:
+            if name == "length":
+                assert abs((ones - total * q) / (0.5 - q) - truth.get(item, 0)) < 5 * sd
+    words = rng.secret_words(b"k", np.arange(200), 0, 500)
+    assert abs(words.mean() / 2**32 - 0.5) < 0.01 and len(np.unique(words)) > 99_000
+
+
+def test_knowledge_keeps_its_promise():
+    """Brute force over a tiny grid: the ratio of chances under any two windows, at every hour, and the levels by hand."""
+    from mobility_ldp.operators import ngram
+
+    g = Grid(3, 0.0, 3.0, 0.0, 3.0)
+    hours = np.array([[True] * 24, [h < 12 for h in range(24)], [h >= 6 for h in range(24)]])
+    know = ngram.Knowledge(np.arange(9) % 3, np.array([0, 0, 1, 0, 0, 1, 2, 2, 1]), hours)
+    w = ngram.Perturber(g, 1.0, 2, know)
+    for hour in (0, 8, 20):
+        p = np.array([w.chances(np.array(x), 1.5, hour) for x in w.grams[2]])
+        assert np.allclose(p.sum(1), 1)
+        open_ = hours[know.category[w.grams[2]], hour].all(1)
+        assert (p[:, ~open_] == 0).all() and (p[:, open_] > 0).all()
+        on = p[:, open_]
+        assert (on.max(0) / on.min(0)).max() <= np.exp(1.5) + 1e-9
+    window, total = w.grams[2][5], np.zeros(3)
+    for r in range(3):
+        total[r] = np.exp(-0.75 * w.apart[know.region[window[0]], r] / 2)
+    by_region = np.bincount(know.region[w.grams[2][:, 0]], w.chances(window, 1.5, 8), 3)
+    assert np.allclose(by_region, total / total.sum())
+    plain = ngram.Perturber(g, 1.0, 2)
+    p = np.array([plain.chances(np.array(x), 1.5, 8) for x in plain.grams[2]])
+    assert (p.max(0) / p.min(0)).max() <= np.exp(1.5) + 1e-9
