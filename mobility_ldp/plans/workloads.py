@@ -51,7 +51,7 @@ def _all(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def utility(spark, sf_dir, sources=("order_walk", "userday_walk", "customer_walk"), epses=(0.5, 1.0, 1.5), methods=METHODS, seeds=(1,), n=4) -> DataFrame:
+def utility(spark, sf_dir, sources=("order_walk", "userday_walk"), epses=(0.5, 1.0, 1.5), methods=METHODS, seeds=(1,), n=4) -> DataFrame:
     """Nine measures by source, eps and method, averaged over seeds."""
     parts = []
     for s in sources:
