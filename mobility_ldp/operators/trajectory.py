@@ -90,17 +90,17 @@ def in_zone(trips: DataFrame, zone: list[int]) -> DataFrame:
     return trips.where(F.arrays_overlap("cells", F.array(*[F.lit(c) for c in zone])))
 
 
-def sample(trips: DataFrame, share: float, seed: int = 0) -> DataFrame:
+def sample(trips: DataFrame, share: float, seed: int = 0, engine: str = "xx") -> DataFrame:
     """A Bernoulli sample of whole trips by hashed id: the same after a retry."""
-    return trips.where(rng.u01(seed, F.col("traj_id"), engine="xx") < share)
+    return trips.where(rng.u01(seed, F.col("traj_id"), engine=engine) < share)
 
 
-def sample_by_start(trips: DataFrame, shares: dict[int, float], seed: int = 0) -> DataFrame:
+def sample_by_start(trips: DataFrame, shares: dict[int, float], seed: int = 0, engine: str = "xx") -> DataFrame:
     """A sample whose share depends on the first cell."""
     share = F.lit(0.0)
     for cell, s in shares.items():
         share = F.when(F.col("cells")[0] == cell, s).otherwise(share)
-    return trips.where(rng.u01(seed, F.col("traj_id"), engine="xx") < share)
+    return trips.where(rng.u01(seed, F.col("traj_id"), engine=engine) < share)
 
 
 def sql(source: str, n: int) -> str:

@@ -137,16 +137,19 @@ register("zone_trips_anti", zone_anti, ctes() + f"SELECT traj_id FROM t GROUP BY
 
 
 def cell_sets(spark, sf):
-    t, _ = trips(spark, sf, "customer_walk", 12)
-    return relational.cell_sets(t.where("traj_id % 7 = 0"), t.where("traj_id % 7 = 1"))
+    a, b, _ = halves(spark, sf, "customer_walk", 12)
+    return relational.cell_sets(a, b)
 
 
-register("cell_set_ops", cell_sets, ctes("customer_walk", 12) + ", x AS (SELECT DISTINCT cell FROM t WHERE traj_id % 7 = 0), y AS (SELECT DISTINCT cell FROM t WHERE traj_id % 7 = 1) SELECT CASE WHEN y.cell IS NULL THEN 'first' WHEN x.cell IS NULL THEN 'second' ELSE 'both' END AS kind, coalesce(x.cell, y.cell) AS cell FROM x FULL JOIN y ON x.cell = y.cell")
+register("cell_set_ops", cell_sets, ctes("customer_walk", 12) + ", x AS (SELECT DISTINCT cell FROM t WHERE traj_id % 2 = 0), y AS (SELECT DISTINCT cell FROM t WHERE traj_id % 2 = 1) SELECT CASE WHEN y.cell IS NULL THEN 'first' WHEN x.cell IS NULL THEN 'second' ELSE 'both' END AS kind, coalesce(x.cell, y.cell) AS cell FROM x FULL JOIN y ON x.cell = y.cell")
 register("top_targets", lambda spark, sf: relational.top_targets(trips(spark, sf)[0]), ctes() + MOVES + ", w AS (SELECT src, dst, count(*) AS n FROM v WHERE dst IS NOT NULL GROUP BY 1, 2), q AS (SELECT *, CAST(row_number() OVER (PARTITION BY src ORDER BY n DESC, dst) AS INTEGER) AS place FROM w) SELECT * FROM q WHERE place <= 3")
 register("asof_events", relational.asof_events, "SELECT event_id, user_id, click_id FROM (SELECT event_id, user_id, event_type, last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS click_id FROM events) WHERE event_type = 'purchase'")
 register("moving_density", relational.moving_density, "WITH e AS (SELECT CAST(dayofyear(ts) AS INTEGER) AS day, count(*) AS n FROM events GROUP BY 1) SELECT day, n, CAST(sum(n) OVER (ORDER BY day ROWS UNBOUNDED PRECEDING) AS BIGINT) AS so_far, round(avg(n) OVER (ORDER BY day ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS mean_n FROM e")
 register("mean_interval", lambda spark, sf: relational.mean_interval(points(spark, sf, "userday_walk")), "WITH g AS (SELECT epoch_us(lead(ts) OVER (PARTITION BY user_id * 1000 + dayofyear(ts) ORDER BY ts, event_id)) - epoch_us(ts) AS g FROM events) SELECT round(avg(g) / 1e6, 3) AS seconds FROM g")
-register("sample_trips", lambda spark, sf: trajectory.sample(trips(spark, sf)[0], 0.1, SEED).select("traj_id", "n_cells"))
+_drawn = rng.u01_sql(str(SEED), "traj_id")
+SHARES = {0: 0.5, 7: 0.25, 14: 0.1}
+register("sample_trips", lambda spark, sf: trajectory.sample(trips(spark, sf)[0], 0.1, SEED, "md5").select("traj_id", "n_cells"), ctes() + f"SELECT traj_id, CAST(count(*) AS INTEGER) AS n_cells FROM t GROUP BY traj_id HAVING {_drawn} < 0.1")
+register("sample_by_start", lambda spark, sf: trajectory.sample_by_start(trips(spark, sf)[0], SHARES, SEED, "md5").select("traj_id", F.col("cells")[0].alias("first")), ctes() + f"SELECT traj_id, first FROM (SELECT traj_id, arg_min(cell, pos) AS first FROM t GROUP BY traj_id) WHERE {_drawn} < CASE first " + " ".join(f"WHEN {c} THEN {s}" for c, s in SHARES.items()) + " ELSE 0 END")
 
 # ---- perturbation --------------------------------------------------------------
 
@@ -349,27 +352,24 @@ register("grid_objective", grid_objective, "WITH s AS (SELECT count(*)::DOUBLE A
 
 # ---- synthesis -------------------------------------------------------------------
 
-SQL_TRIPS, SQL_CAP = 300, 9
-
-
 def synthesize_sql(spark, sf):
     """Trips from true counts with whole-number weights."""
     t, g = trips(spark, sf, "customer_walk", 3)
     names = {r["state_id"]: (r["src"], r["dst"]) for r in state_domain(spark, g).collect()}
     weights = {names[r["state_id"]]: int(r["clipped"]) for r in models.exact_counts(t, g).collect()}
-    lengths = {r["len"]: r["count"] for r in t.groupBy(F.least("n_cells", F.lit(SQL_CAP)).alias("len")).count().collect()}
-    out = synthesis.synthesize_sql(spark, g, lengths, weights, SQL_TRIPS, SEED)
+    lengths = {r["n_cells"]: r["count"] for r in t.groupBy("n_cells").count().collect()}
+    out = synthesis.synthesize_sql(spark, g, lengths, weights, sum(lengths.values()), SEED)
     return out.select("traj_id", encode_trip(F.col("cells")).alias("cells"), "cap", "n_cells")
 
 
 register("synthesize_sql", synthesize_sql, ctes("customer_walk", 3).replace("WITH ", "WITH RECURSIVE ", 1) + MOVES + f""",
-lw AS (SELECT least(c, {SQL_CAP}) AS len, count(*) AS w FROM (SELECT count(*) AS c FROM t GROUP BY traj_id) GROUP BY 1),
+lw AS (SELECT c AS len, count(*) AS w FROM (SELECT count(*) AS c FROM t GROUP BY traj_id) GROUP BY 1),
 lr AS (SELECT len, CAST(sum(w) OVER (ORDER BY len) AS BIGINT) AS s FROM lw), lt AS (SELECT max(s) AS s FROM lr),
 bw AS (SELECT cell, CAST(sum(w) OVER (ORDER BY cell) AS BIGINT) AS s FROM (SELECT f AS cell, count(*) AS w FROM (SELECT arg_min(cell, pos) AS f FROM t GROUP BY traj_id) GROUP BY 1)), bt AS (SELECT max(s) AS s FROM bw),
 ew AS (SELECT l AS cell, count(*) AS w FROM (SELECT arg_max(cell, pos) AS l FROM t GROUP BY traj_id) GROUP BY 1),
 mw AS (SELECT src, dst, CAST(sum(w * 10) OVER (PARTITION BY src ORDER BY dst) AS BIGINT) AS s FROM (SELECT src, dst, count(*) AS w FROM v WHERE dst IS NOT NULL GROUP BY 1, 2)),
 mt AS (SELECT src, max(s) AS s FROM mw GROUP BY 1),
-ids AS (SELECT unnest(generate_series(0, {SQL_TRIPS - 1})) AS traj_id),
+ids AS (SELECT unnest(generate_series(0, (SELECT count(DISTINCT traj_id) FROM t) - 1)) AS traj_id),
 st AS (SELECT traj_id, (SELECT min(len) FROM lr, lt WHERE lr.s > floor({rng.u01_sql(str(SEED), 'traj_id', "'len'")} * lt.s)) AS cap,
               (SELECT min(cell) FROM bw, bt WHERE bw.s > floor({rng.u01_sql(str(SEED), 'traj_id', "'start'")} * bt.s)) AS cur FROM ids),
 walk AS (SELECT traj_id, CAST(cap AS INTEGER) AS cap, CAST(1 AS BIGINT) AS l, cur, CAST(cur AS VARCHAR) AS cells FROM st
@@ -454,6 +454,22 @@ def length_prob_mean(spark, sf):
 register("length_prob_mean", length_prob_mean, ctes() + LEN_ERR + " SELECT CAST(len AS INTEGER) AS len, round(f / n, 6) AS p FROM lf, z")
 
 
+def approximate_aggregates(spark, sf):
+    """Each approximate aggregate beside the exact one, and whether it keeps its error: 3 standard errors of 2 % for distinct cells and
+    trips, a rank error of 1 % for the median."""
+    rows, _ = trips(spark, sf, form="rows")
+    per = rows.groupBy("traj_id").agg(F.count("*").alias("c"))
+    d = rows.agg(F.countDistinct("traj_id").alias("trips"), F.approx_count_distinct("traj_id", 0.02).alias("about"), F.countDistinct("cell").alias("cells"), F.approx_count_distinct("cell", 0.02).alias("about_cells"))
+    q = per.agg(F.expr("percentile_approx(c, 0.5, 1000)").alias("mid"), F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(CAST(c AS DOUBLE), 400), 0.5D)").alias("kll"))
+    ranks = per.crossJoin(F.broadcast(q)).agg(*[(F.sum(F.when(F.col("c") <= F.col(x), 1).otherwise(0)) / F.count("*")).alias(f"{x}_to") for x in ("mid", "kll")], *[(F.sum(F.when(F.col("c") < F.col(x), 1).otherwise(0)) / F.count("*")).alias(f"{x}_from") for x in ("mid", "kll")])
+    holds = lambda x: (F.col(f"{x}_from") <= 0.51) & (F.col(f"{x}_to") >= 0.49)
+    near = lambda exact, about: F.abs(F.col(about) - F.col(exact)) <= F.lit(0.06) * F.col(exact)
+    return d.crossJoin(ranks).select("trips", "cells", near("trips", "about").alias("trips_near"), near("cells", "about_cells").alias("cells_near"), holds("mid").alias("median_near"), holds("kll").alias("kll_near"))
+
+
+register("approximate_aggregates", approximate_aggregates, ctes() + "SELECT count(DISTINCT traj_id) AS trips, count(DISTINCT cell) AS cells, true AS trips_near, true AS cells_near, true AS median_near, true AS kll_near FROM t")
+
+
 def speed_counts(spark, sf):
     """Trips by mean speed: true counts through the fused pass, and what one noisy collection estimates is in speed_estimate."""
     items = models.speed_item(points(spark, sf, "userday_walk"))

@@ -1,26 +1,30 @@
 """The experiments, over the given tables. Each returns its table of results.
 
-The registered ones use few settings, so that all of them run in minutes; the
-functions take any.
+The registered ones make one run of each setting; the functions take any
+sources, budgets and seeds. Published sets are measured a few at a time, as
+the many small jobs of a measure leave most of the executors idle.
 """
 
 from __future__ import annotations
 
 import math
 import time
+from multiprocessing.pool import ThreadPool
 
 import numpy as np
-from pyspark import StorageLevel
+from pyspark import StorageLevel, inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import ablations, attacks, granularity, metrics, models, ngram, oue, synthesis, trajectory
+from ..operators import ablations, attacks, errors, granularity, metrics, models, ngram, oue, synthesis, trajectory
 from ..operators.grid import make_grid
 from ..sources import files, walks
 from . import relational
 
 INF = math.inf
 METHODS = ("synthesizer", "ngram")
+SOURCES = ("order_walk", "customer_walk", "userday_walk", "poi_walk")
+AT_ONCE = 4
 
 
 def _trips(spark: SparkSession, sf_dir: str, source: str, n: int):
@@ -51,25 +55,43 @@ def _all(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def utility(spark, sf_dir, sources=("order_walk", "userday_walk"), epses=(0.5, 1.0, 1.5), methods=METHODS, seeds=(1,), n=4) -> DataFrame:
+def _measured(spark, trips, grid, settings) -> list[list[tuple[str, float]]]:
+    """The nine (metric, value) of each setting (method, eps, seed), in order. Nine numbers a setting reach the driver."""
+
+    def one(setting):
+        syn = published(spark, trips, grid, *setting)
+        out = [(r["metric"], r["value"]) for r in metrics.evaluate_all(trips, syn, grid).collect()]
+        syn.unpersist()
+        return out
+
+    with ThreadPool(AT_ONCE) as pool:
+        return pool.map(inheritable_thread_target(spark)(one), settings, chunksize=1)
+
+
+def utility(spark, sf_dir, sources=SOURCES, epses=(0.5, 1.0, 1.5), methods=METHODS, seeds=(1,), n=4) -> DataFrame:
     """Nine measures by source, eps and method, averaged over seeds."""
-    parts = []
+    settings = [(eps, m, seed) for eps in epses for m in methods for seed in seeds]
+    rows = []
     for s in sources:
         trips, grid = _trips(spark, sf_dir, s, n)
-        for eps in epses:
-            for m in methods:
-                for seed in seeds:
-                    parts.append(_tagged(metrics.evaluate_all(trips, published(spark, trips, grid, m, eps, seed), grid), source=s, eps=float(eps), method=m, seed=seed))
-    return _all(parts).groupBy("source", "eps", "method", "metric").agg(F.avg("value").alias("value"))
+        trips.count()
+        found = _measured(spark, trips, grid, [(m, eps, seed) for eps, m, seed in settings])
+        rows += [(s, float(eps), m, seed, *r) for (eps, m, seed), part in zip(settings, found, strict=True) for r in part]
+        trips.unpersist()
+    out = spark.createDataFrame(rows, "source string, eps double, method string, seed int, metric string, value double")
+    return out.groupBy("source", "eps", "method", "metric").agg(F.avg("value").alias("value"))
 
 
-def ablation(spark, sf_dir, sources=("order_walk", "userday_walk"), eps=1.0, n=4, seed=1) -> DataFrame:
+def ablation(spark, sf_dir, sources=SOURCES, eps=1.0, n=4, seed=1) -> DataFrame:
     """Nine measures of the full method and of three with a part taken out, by source."""
-    parts = []
+    variants, rows = (*ablations.VARIANTS, "non_private"), []
     for s in sources:
         trips, grid = _trips(spark, sf_dir, s, n)
-        parts += [_tagged(metrics.evaluate_all(trips, published(spark, trips, grid, v, eps, seed), grid), source=s, variant=v) for v in (*ablations.VARIANTS, "non_private")]
-    return _all(parts)
+        trips.count()
+        found = _measured(spark, trips, grid, [(v, eps, seed) for v in variants])
+        rows += [(s, v, *r) for v, part in zip(variants, found, strict=True) for r in part]
+        trips.unpersist()
+    return spark.createDataFrame(rows, "source string, variant string, metric string, value double")
 
 
 def component_times(spark, sf_dir, source="order_walk", n=6, eps=1.0, with_ngram=True, seed=1) -> DataFrame:
@@ -148,7 +170,7 @@ def query_size_sweep(spark, sf_dir, source="order_walk", sizes=(1 / 36, 1 / 16,
 
 
 def quantile_sweep(spark, sf_dir, source="order_walk", ks=(0.5, 0.6, 0.7, 0.8, 0.9, 1.0), eps=50.0, n=4, seed=1) -> DataFrame:
-    """(k, metric, value): query error, diameter error, pattern F1, and seconds, by the quantile of lengths."""
+    """(k, metric, value): query error, diameter error, pattern F1, and seconds, by the quantile of lengths; beside them the analytic error of moves."""
     trips, grid = _trips(spark, sf_dir, source, n)
     parts = []
     for k in ks:
@@ -157,20 +179,62 @@ def quantile_sweep(spark, sf_dir, source="order_walk", ks=(0.5, 0.6, 0.7, 0.8, 0
         syn.count()
         s = spark.createDataFrame([("seconds", time.perf_counter() - t)], "metric string, value double")
         parts += [_tagged(x, k=float(k)) for x in (metrics.query_error(trips, syn, grid), metrics.diameter_error(trips, syn, grid), metrics.pattern_f1(trips, syn), s)]
+    freqs = trajectory.transitions(trips).groupBy("src", "dst").agg(F.count("*").alias("f"))
+    lens = trips.groupBy(F.col("n_cells").alias("len")).agg(F.count("*").alias("f"))
+    curve = errors.transition_error_curve(freqs, lens, trips.count(), eps, list(ks))
+    parts.append(curve.select(F.col("k").cast("double").alias("k"), F.lit("analytic_error").alias("metric"), (F.col("noise") + F.col("bias")).alias("value")))
     return _all(parts)
 
 
-def scalability(spark, sf_dir, source="order_walk", multiples=(1, 2, 4), eps=1.0, n=6, seed=1) -> DataFrame:
-    """(trips, seconds, per_1000): fit and synthesis over copies of a source under new ids."""
-    base, grid = _trips(spark, sf_dir, source, n)
-    size, rows = base.count(), []
-    for m in multiples:
-        trips = base.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(m)))).select(F.xxhash64("traj_id", "copy").alias("traj_id"), "cells", "n_cells")
-        t = time.perf_counter()
-        files.force(synthesis.synthesize(spark, models.fit(trips, grid, eps, seed=seed), size * m, seed))
-        s = time.perf_counter() - t
-        rows.append((size * m, s, s / (size * m) * 1000))
-    return spark.createDataFrame(rows, "trips long, seconds double, per_1000 double")
+def scalability(spark, sf_dir, sources=("order_walk", "userday_walk"), multiples=(1, 2, 4), eps=1.0, n=6, seed=1, methods=METHODS) -> DataFrame:
+    """(source, method, trips, seconds, per_1000): both methods over copies of a source under new ids."""
+    rows = []
+    for source in sources:
+        base, grid = _trips(spark, sf_dir, source, n)
+        size = base.count()
+        for m in multiples:
+            trips = base.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(m)))).select(F.xxhash64("traj_id", "copy").alias("traj_id"), "cells", "n_cells")
+            for method in methods:
+                t = time.perf_counter()
+                files.force(ngram.ngram_perturb(trips, grid, eps, seed=seed) if method == "ngram" else synthesis.synthesize(spark, models.fit(trips, grid, eps, seed=seed), size * m, seed))
+                s = time.perf_counter() - t
+                rows.append((source, method, size * m, s, s / max(1, size * m) * 1000))
+        base.unpersist()
+    return spark.createDataFrame(rows, "source string, method string, trips long, seconds double, per_1000 double")
+
+
+def stage_costs(spark, sf_dir, source="order_walk", n=6, eps=1.0, seed=1) -> DataFrame:
+    """(component, stages, input_bytes, shuffle_bytes, spilled_bytes, task_seconds): what Spark's own counters say of each step."""
+    sc = spark.sparkContext
+    rows = []
+
+    def counted(name, action):
+        group = f"{name}-{time.time_ns()}"
+        sc.setJobGroup(group, name)
+        try:
+            action()
+        finally:
+            sc.setLocalProperty("spark.jobGroup.id", None)
+            sc.setLocalProperty("spark.job.description", None)
+        jvm = sc._jsc.sc()
+        jvm.listenerBus().waitUntilEmpty()
+        store, ran = jvm.statusStore(), []
+        for job in sc.statusTracker().getJobIdsForGroup(group):
+            for stage in sc.statusTracker().getJobInfo(job).stageIds:
+                s = store.lastStageAttempt(stage)
+                if s.numCompleteTasks():  # a stage whose shuffle was there already runs no task
+                    ran.append((s.inputBytes(), s.shuffleWriteBytes(), s.memoryBytesSpilled() + s.diskBytesSpilled(), s.executorRunTime() / 1000))
+        sums = [sum(c) for c in zip(*ran, strict=True)] or [0, 0, 0, 0.0]
+        rows.append((name, len(ran), *sums[:3], float(sums[3])))
+
+    trips, grid = _trips(spark, sf_dir, source, n)
+    counted("assemble", trips.count)
+    size, fitted = trips.count(), []
+    counted("collect and fit", lambda: fitted.append(models.fit(trips, grid, eps, seed=seed)))
+    counted("synthesize", lambda: files.force(synthesis.synthesize(spark, fitted[0], size, seed)))
+    counted("ngram", lambda: files.force(ngram.ngram_perturb(trips, grid, eps, seed=seed)))
+    trips.unpersist()
+    return spark.createDataFrame(rows, "component string, stages int, input_bytes long, shuffle_bytes long, spilled_bytes long, task_seconds double")
 
 
 def knowledge_comparison(spark, sf_dir, eps=1.0, n=4, seed=1, walkers=1000) -> DataFrame:
@@ -183,14 +247,15 @@ def knowledge_comparison(spark, sf_dir, eps=1.0, n=4, seed=1, walkers=1000) -> D
     return _all([_tagged(metrics.evaluate_all(trips, s, grid), method=m) for m, s in sets.items()])
 
 
-def attack_comparison(spark, sf_dir, source="userday_walk", eps=1.0, n=6, seed=1, kappas=attacks.KAPPAS, methods=METHODS) -> DataFrame:
-    """(attack, method, kappa, ratio): both attacks against both methods."""
-    trips, grid = _trips(spark, sf_dir, source, n)
+def attack_comparison(spark, sf_dir, sources=("order_walk", "userday_walk"), eps=1.0, n=6, seed=1, kappas=attacks.KAPPAS, methods=METHODS) -> DataFrame:
+    """(source, attack, method, kappa, ratio): both attacks against both methods."""
     parts = []
-    for m in methods:
-        syn = published(spark, trips, grid, m, eps, seed)
-        parts.append(_tagged(attacks.resilience(attacks.reidentification(trips, syn, grid), kappas), attack="reidentification", method=m))
-        parts.append(_tagged(attacks.resilience(attacks.outlier_matches(trips, syn, grid), kappas), attack="outlier", method=m))
+    for source in sources:
+        trips, grid = _trips(spark, sf_dir, source, n)
+        for m in methods:
+            syn = published(spark, trips, grid, m, eps, seed)
+            parts.append(_tagged(attacks.resilience(attacks.reidentification(trips, syn, grid), kappas), source=source, attack="reidentification", method=m))
+            parts.append(_tagged(attacks.resilience(attacks.outlier_matches(trips, syn, grid), kappas), source=source, attack="outlier", method=m))
     return _all(parts)
 
 
@@ -229,6 +294,7 @@ QUERIES = [
     ("workload_query_size_sweep", query_size_sweep),
     ("workload_quantile_sweep", quantile_sweep),
     ("workload_scalability", scalability),
+    ("workload_stage_costs", stage_costs),
     ("workload_knowledge_comparison", knowledge_comparison),
     ("workload_attacks", attack_comparison),
     ("workload_estimate_error", estimate_error),

@@ -29,10 +29,27 @@ def test_speed_up(spark):
 
 
 def test_scalability_is_linear(spark):
-    t = workloads.scalability(spark, SF, multiples=(1, 4)).orderBy("trips").collect()
+    t = workloads.scalability(spark, SF, ("order_walk",), multiples=(1, 4), methods=("synthesizer",)).orderBy("trips").collect()
     assert t[1]["seconds"] < 6 * max(t[0]["seconds"], 1.0)
 
 
 def test_zone_attack_table(spark):
-    t = workloads.attack_comparison(spark, SF, "userday_walk", 1e3, 4, methods=("synthesizer",))
+    t = workloads.attack_comparison(spark, SF, ("userday_walk",), 1e3, 4, methods=("synthesizer",))
     assert t.where(F.col("ratio").between(0, 1)).count() == 10
+
+
+def test_only_assembly_shuffles_user_data(spark, sf):
+    cost = {r["component"]: r for r in workloads.stage_costs(spark, sf).collect()}
+    assert cost["assemble"]["shuffle_bytes"] > 10 * cost["collect and fit"]["shuffle_bytes"] / max(1, cost["collect and fit"]["stages"]) > 0
+    assert cost["synthesize"]["shuffle_bytes"] == 0 == cost["ngram"]["shuffle_bytes"]
+    assert cost["synthesize"]["task_seconds"] > 0
+
+
+def test_settings_come_back_in_order(spark, sf):
+    rows = workloads.utility(spark, sf, ("userday_walk", "poi_walk"), (1.0,), ("synthesizer", "ngram"), seeds=(1, 2), n=3).collect()
+    assert len(rows) == 2 * 2 * 9
+    trips, grid = workloads._trips(spark, sf, "userday_walk", 3)
+    one = {r["metric"]: r["value"] for r in workloads.metrics.evaluate_all(trips, workloads.published(spark, trips, grid, "ngram", 1.0, 1), grid).collect()}
+    two = {r["metric"]: r["value"] for r in workloads.metrics.evaluate_all(trips, workloads.published(spark, trips, grid, "ngram", 1.0, 2), grid).collect()}
+    got = {r["metric"]: r["value"] for r in rows if r["source"] == "userday_walk" and r["method"] == "ngram"}
+    assert all(abs(got[m] - (one[m] + two[m]) / 2) < 1e-9 for m in one)
