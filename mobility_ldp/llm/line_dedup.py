@@ -6,8 +6,9 @@
    Each shard gets a minimal perfect hash (levels of collision-free bits with
    ranks) that indexes a fingerprint array and a count array.
 3. Documents probe the arrays; no line is shuffled. The index is sent in groups
-   of shards of at most group_bytes; where one group does not hold it all, the
-   documents pass once for each group and carry a bit per line in between.
+   of shards of at most group_bytes. Where one group does not hold it all, the
+   texts are read once for each group, and what is written is a bit per line of
+   the distinct texts that lose some; the bits meet the rows by the text's key.
 
 Null and empty texts are one empty line. Repeated rows are documents of their
 own. A key shorter than min_chars code points is never dropped.
@@ -158,32 +159,58 @@ def index(keys: DataFrame) -> tuple[DataFrame, int]:
     return dealt.groupBy("shard").applyInArrow(_build_shard, "shard long, arrays binary"), shards
 
 
-def _probe(sent, shards, min_docs, min_chars, text_at, drop_at, last, names):
+def _drops(index, shards, min_docs, h1, h2, ok):
+    """Which lines have a key in the index that is in min_docs documents or more."""
+    drop = np.zeros(len(h1), bool)
+    home = (h1.view(np.int64) % shards) if shards > 1 else np.zeros(len(h1), np.int64)
+    for k, shard in index.items():
+        mine = np.flatnonzero(ok & (home == k))
+        drop[mine] = shard.counts(h1[mine], h2[mine]) >= min_docs
+    return drop
+
+
+def _flag(sent, shards, min_docs, min_chars):
+    """For each text with lines to drop by this part of the index: its key, and a bit per line."""
+
     def run(batches):
         ranges = textops.RangeHash(*BASES)
         index = {k: Shard(np.load(io.BytesIO(v))) for k, v in sent.value}
+        for batch in batches:
+            data, offsets = textops.buffers(batch.column(0))
+            for i, j in textops.chunks(offsets):
+                at = offsets[i : j + 1] - offsets[i]
+                part = data[offsets[i] : offsets[j]]
+                bounds, _, h1, h2, ok = lines_of(part, at, ranges, min_chars)
+                drop = _drops(index, shards, min_docs, h1, h2, ok)
+                hit = np.flatnonzero(np.add.reduceat(drop.astype(np.int64), bounds[:-1]))
+                keys = [hashlib.md5(part[at[d] : at[d + 1]].tobytes(), usedforsecurity=False).digest() for d in hit]
+                bits = [np.packbits(drop[bounds[d] : bounds[d + 1]]).tobytes() for d in hit]
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(bits, pa.binary())], ["key", "drop"])
+
+    return run
+
+
+def _cut(sent, shards, min_docs, min_chars, text_at, drop_at, names):
+    """The columns in names and the text without the lines that the index drops, or, at drop_at, lists of bits per line."""
+
+    def run(batches):
+        ranges = textops.RangeHash(*BASES)
+        index = {k: Shard(np.load(io.BytesIO(v))) for k, v in sent.value} if sent is not None else {}
         for batch in batches:
             text = batch.column(text_at)
             data, offsets = textops.buffers(text)
-            drops, kept, n_lines, n_dropped = [], [], [], []
+            kept, n_lines, n_dropped = [], [], []
             for i, j in textops.chunks(offsets):
                 at = offsets[i : j + 1] - offsets[i]
-                part = data[offsets[i] : offsets[j]]
-                bounds, n_docs, h1, h2, ok = lines_of(part, at, ranges, min_chars)
-                drop = np.zeros(len(h1), bool)
-                home = (h1.view(np.int64) % shards) if shards > 1 else np.zeros(len(h1), np.int64)
-                for k, shard in index.items():
-                    mine = np.flatnonzero(ok & (home == k))
-                    drop[mine] = shard.counts(h1[mine], h2[mine]) >= min_docs
+                bounds, _, h1, h2, ok = lines_of(data[offsets[i] : offsets[j]], at, ranges, min_chars)
+                drop = _drops(index, shards, min_docs, h1, h2, ok)
                 if drop_at is not None:
-                    before = batch.column(drop_at).slice(i, j - i).to_pylist()
-                    drop |= np.concatenate([np.unpackbits(np.frombuffer(x, np.uint8))[:n].astype(bool) for x, n in zip(before, np.diff(bounds), strict=True)])
+                    for d, flags in enumerate(batch.column(drop_at).slice(i, j - i).to_pylist()):
+                        for bits in flags or ():
+                            drop[bounds[d] : bounds[d + 1]] |= np.unpackbits(np.frombuffer(bits, np.uint8))[: bounds[d + 1] - bounds[d]].view(bool)
                 gone = np.add.reduceat(drop.astype(np.int64), bounds[:-1])
                 n_lines.append(np.diff(bounds))
                 n_dropped.append(gone)
-                if not last:
-                    drops += [np.packbits(drop[a:b]).tobytes() for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-                    continue
                 own = text.slice(i, j - i)
                 if gone.any():
                     hit = np.flatnonzero(gone)
@@ -193,12 +220,9 @@ def _probe(sent, shards, min_docs, min_chars, text_at, drop_at, last, names):
                     joined = pc.binary_join(pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(per)]), pa.int32()), lists.flatten().filter(pa.array(keep))), "\n")
                     own = pc.replace_with_mask(own, pa.array(gone > 0), joined)
                 kept.append(own)
-            cols = [c for k, c in enumerate(batch.columns) if k != drop_at]
-            if not last:
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(drops, pa.binary())], [*names, "drop"])
-            else:
-                whole = pa.concat_arrays(kept) if kept else text.slice(0, 0)
-                yield pa.RecordBatch.from_arrays([*cols, whole, pa.array(np.concatenate(n_lines) if n_lines else np.zeros(0, np.int64), pa.int64()), pa.array(np.concatenate(n_dropped) if n_dropped else np.zeros(0, np.int64), pa.int64())], [*names, "kept", "n_lines", "n_dropped"])
+            whole = pa.concat_arrays(kept) if kept else text.slice(0, 0)
+            counts = [pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64()) for x in (n_lines, n_dropped)]
+            yield pa.RecordBatch.from_arrays([*(c for k, c in enumerate(batch.columns) if k != drop_at), whole, *counts], [*names, "kept", "n_lines", "n_dropped"])
 
     return run
 
@@ -213,7 +237,8 @@ def drop_common_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 1
     built, shards = index(frequent)
     stored, at = shared.put(built, "line-index")
     names = [f"c{k}" for k in range(len(docs.columns))]
-    now = docs.toDF(*names)
+    text_at = docs.columns.index(text_col)
+    now, drop_at = docs.toDF(*names), None
     sizes = [(r[0], r[1]) for r in stored.select("shard", F.octet_length("arrays")).orderBy("shard").collect()]
     groups: list[list[int]] = [[]]
     total = 0
@@ -222,27 +247,31 @@ def drop_common_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 1
             groups, total = [*groups, []], 0
         groups[-1].append(shard)
         total += size
-    written = []
-    for k, group in enumerate(groups):
-        last = k == len(groups) - 1
+
+    def send(group):
         rows = stored.where(F.col("shard").isin(group)).collect() if group else []
-        sent = spark.sparkContext.broadcast([(r["shard"], bytes(r["arrays"])) for r in rows])
-        has_drop = k > 0
-        kinds = [f.dataType for f in docs.schema.fields]
-        fields = [T.StructField(n, t, True) for n, t in zip(names, kinds, strict=True)]
-        fields += [T.StructField("kept", T.StringType()), T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())] if last else [T.StructField("drop", T.BinaryType())]
-        now = now.mapInArrow(textops.tidy(_probe(sent, shards, min_docs, min_chars, docs.columns.index(text_col), len(names) if has_drop else None, last, names)), T.StructType(fields))
-        if not last:
-            now, p = shared.put(now, "line-flags")
-            written.append(p)
+        return spark.sparkContext.broadcast([(r["shard"], bytes(r["arrays"])) for r in rows])
+
+    if len(groups) == 1:
+        sent = send(groups[0])
+    else:  # one group at a time on the driver and in the tasks
+        parts = []
+        for group in groups:
+            sent = send(group)
+            found = now.select(names[text_at]).mapInArrow(textops.tidy(_flag(sent, shards, min_docs, min_chars)), "key binary, drop binary")
+            parts.append(shared.put(found.groupBy("key").agg(F.max("drop").alias("drop")), "line-flags"))
+            sent.destroy()
+        flags = spark.read.schema("key binary, drop binary").parquet(*[p for _, p in parts])
+        flags, _ = shared.put(flags.groupBy("key").agg(F.collect_list("drop").alias("drop")), "line-flags")
+        shared.remove(spark, *[p for _, p in parts])
+        text_key = F.unhex(F.md5(F.coalesce(names[text_at], F.lit(""))))
+        now = now.withColumn("key", text_key).join(flags, "key", "left").select(*names, "drop")
+        sent, drop_at = None, len(names)
+    fields = [T.StructField(n, f.dataType, True) for n, f in zip(names, docs.schema.fields, strict=True)]
+    fields += [T.StructField("kept", T.StringType()), T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())]
+    now = now.mapInArrow(textops.tidy(_cut(sent, shards, min_docs, min_chars, text_at, drop_at, names)), T.StructType(fields))
     shared.remove(spark, path, at)
-    more = []
-    for c in ("kept_text", "n_lines", "n_dropped"):
-        name = c
-        while name.lower() in {x.lower() for x in [*docs.columns, *more]}:
-            name += "_"
-        more.append(name)
-    return now.toDF(*docs.columns, *more)
+    return now.toDF(*shared.beside(docs.columns, ["kept_text", "n_lines", "n_dropped"]))
 
 
 def op7(spark, sf_dir: str) -> DataFrame:
