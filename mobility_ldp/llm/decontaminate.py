@@ -79,45 +79,83 @@ def _run(a: Column, b: Column) -> Column:
     return F.when(miss == 0, F.size(same)).otherwise(miss - 1)
 
 
-def contamination(docs: DataFrame, bench: DataFrame, text_col: str = "text", bench_text: str = "text", bench_id: str = "item_id", window: int = WINDOW, keep: list[str] | None = None) -> DataFrame:
-    """Per row of docs: the columns in keep, then n_words, n_hit, spans (start, end in words) and items."""
-    keep = keep or []
-    prints, path = shared.put(benchmark_prints(bench, bench_text, bench_id, window), "prints")
-    size = prints.agg(F.count("*").alias("n"), F.sum(F.octet_length(F.concat_ws(" ", "before", "after", "items")) + 64).alias("b"), F.max((F.col("need") < window).cast("int")).alias("short")).first()
-    ws = docs.select(F.monotonically_increasing_id().alias("row__"), F.struct(F.lit(1).alias("one__"), *[F.col(f"`{c}`") for c in keep]).alias("own__"), words(F.col(f"`{text_col}`")).alias("ws"))
+def _marks(ws: Column, hs: Column, window: int, short: bool) -> Column:
+    """Packed fingerprints of a text: its winnowed ones and, where the benchmark has items under a window, each single word."""
+    nothing = F.array().cast("array<bigint>")
+    marks = F.when(F.size(ws) >= window, F.coalesce(winnowed(hs, window), nothing)).otherwise(nothing)
+    return F.concat(marks, F.transform(ws, lambda x, i: _packed(ws, i, 1))) if short else marks
+
+
+def _place(x: Column) -> Column:
+    return x.bitwiseAND(F.lit((1 << PLACE) - 1)).cast("int")
+
+
+def _extended() -> tuple[Column, Column]:
+    """Start and end, in words, of the agreement around a fingerprint at place p of ws."""
+    left = F.slice("ws", F.greatest(F.col("p") - F.size("before"), F.lit(0)) + 1, F.least(F.col("p"), F.size("before")))
+    return F.col("p") - _run(F.reverse(left), F.col("before")), F.col("p") + _run(F.slice("ws", F.col("p") + 1, F.size("after")), F.col("after"))
+
+
+def _gathered(ok: Column) -> list[Column]:
+    """Aggregates spans and items of the hits (s, e, need, items) that are ok."""
+    return [
+        F.array_sort(F.collect_set(F.when(ok, F.struct("s", "e")))).alias("spans"),
+        F.array_sort(F.array_distinct(F.flatten(F.collect_set(F.when(ok, F.col("items")))))).alias("items"),
+    ]
+
+
+def _beside_sent(docs: DataFrame, prints: DataFrame, text: Column, own: Column, window: int, short: bool) -> DataFrame:
+    """(own__, n_words, spans, items) per row of docs; the fingerprints are sent to all tasks and the words never leave theirs."""
+    ws = docs.select(F.monotonically_increasing_id().alias("row__"), own, words(text).alias("ws"))
     ws = ws.withColumn("hs", hashes(F.col("ws"), window))
-    marks = F.coalesce(winnowed(F.col("hs"), window), F.array().cast("array<bigint>"))
-    marks = F.when(F.size("ws") >= window, marks).otherwise(F.array().cast("array<bigint>"))
-    if size["short"]:
-        marks = F.concat(marks, F.transform("ws", lambda x, i: _packed(F.col("ws"), i, 1)))
-    ws = ws.select("row__", "own__", "ws", F.concat(F.array(F.lit(None).cast("long")), marks).alias("marks"))
+    ws = ws.select("row__", "own__", "ws", F.concat(F.array(F.lit(None).cast("long")), _marks(F.col("ws"), F.col("hs"), window, short)).alias("marks"))
     # outer, though no list is empty: else the optimiser tests each list's size by computing it once more
     rows = ws.select("row__", "own__", "ws", F.explode_outer("marks").alias("x"))
-    rows = rows.select("row__", "own__", "ws", F.col("x").bitwiseAND(F.lit((1 << PLACE) - 1)).cast("int").alias("p"), F.shiftright("x", PLACE).alias("fp"))
-    if (size["b"] or 0) <= BROADCAST_BYTES:
-        prints = F.broadcast(prints)
-    else:  # rows without a fingerprint are dealt out evenly
-        rows = rows.withColumn("fp", F.coalesce("fp", F.xxhash64("row__")))
+    rows = rows.select("row__", "own__", "ws", _place(F.col("x")).alias("p"), F.shiftright("x", PLACE).alias("fp"))
     base = F.col("p").isNull()
-    hit = rows.join(prints, "fp", "left").where(base | F.col("need").isNotNull())
-    left = F.slice("ws", F.greatest(F.col("p") - F.size("before"), F.lit(0)) + 1, F.least(F.col("p"), F.size("before")))
+    hit = rows.join(F.broadcast(prints), "fp", "left").where(base | F.col("need").isNotNull())
+    start, end = _extended()
     found = hit.select(
         "row__",
         F.when(base, F.col("own__")).alias("own__"),
         F.when(base, F.size("ws")).alias("n"),
-        F.when(~base, F.col("p") - _run(F.reverse(left), F.col("before"))).alias("s"),
-        F.when(~base, F.col("p") + _run(F.slice("ws", F.col("p") + 1, F.size("after")), F.col("after"))).alias("e"),
+        F.when(~base, start).alias("s"),
+        F.when(~base, end).alias("e"),
         "need",
         "items",
     )
-    ok = F.col("e") - F.col("s") >= F.col("need")
     # no filter on ok: it would run outside generated code, and each fingerprint would copy the words
-    out = found.groupBy("row__").agg(
-        F.max("own__").alias("own__"),
-        F.coalesce(F.max("n"), F.lit(0)).cast("long").alias("n_words"),
-        F.array_sort(F.collect_set(F.when(ok, F.struct("s", "e")))).alias("spans"),
-        F.array_sort(F.array_distinct(F.flatten(F.collect_set(F.when(ok, F.col("items")))))).alias("items"),
-    )
+    ok = F.col("e") - F.col("s") >= F.col("need")
+    return found.groupBy("row__").agg(F.max("own__").alias("own__"), F.coalesce(F.max("n"), F.lit(0)).cast("long").alias("n_words"), *_gathered(ok)).drop("row__")
+
+
+def _beside_shuffled(docs: DataFrame, prints: DataFrame, text: Column, own: Column, window: int, short: bool) -> DataFrame:
+    """The same where the fingerprints are too many to send.
+
+    Only (text key, place, fingerprint) is shuffled by fingerprint. The words come in afterwards, once for each
+    distinct text that shares a fingerprint with the benchmark, and the verdict goes back to the rows by the text's key.
+    """
+    keyed = docs.select(own, F.coalesce(text, F.lit("")).alias("t")).withColumn("key", F.md5("t"))
+    ws = keyed.select("key", words(F.col("t")).alias("ws")).withColumn("hs", hashes(F.col("ws"), window))
+    rows = ws.select("key", F.explode_outer(_marks(F.col("ws"), F.col("hs"), window, short)).alias("x"))
+    rows = rows.select("key", _place(F.col("x")).alias("p"), F.shiftright("x", PLACE).alias("fp"))
+    met, _ = shared.put(rows.join(prints.select("fp").distinct(), "fp", "left_semi").distinct(), "met")
+    texts = keyed.join(met.select("key").distinct(), "key", "left_semi").groupBy("key").agg(F.first("t").alias("t")).select("key", words(F.col("t")).alias("ws"))
+    start, end = _extended()
+    found = met.join(prints, "fp").join(texts, "key").select("key", start.alias("s"), end.alias("e"), "need", "items")
+    out = found.groupBy("key").agg(*_gathered(F.col("e") - F.col("s") >= F.col("need")))
+    rows = keyed.select("own__", "key", F.size(words(F.col("t"))).cast("long").alias("n_words")).join(out, "key", "left")
+    return rows.select("own__", "n_words", *[F.coalesce(c, F.array().cast(out.schema[c].dataType)).alias(c) for c in ("spans", "items")])
+
+
+def contamination(docs: DataFrame, bench: DataFrame, text_col: str = "text", bench_text: str = "text", bench_id: str = "item_id", window: int = WINDOW, keep: list[str] | None = None) -> DataFrame:
+    """Per row of docs: the columns in keep, then n_words, n_hit, spans (start, end in words) and items."""
+    keep = keep or []
+    prints, _ = shared.put(benchmark_prints(bench, bench_text, bench_id, window), "prints")
+    size = prints.agg(F.sum(F.octet_length(F.concat_ws(" ", "before", "after", "items")) + 64).alias("b"), F.max((F.col("need") < window).cast("int")).alias("short")).first()
+    own = F.struct(F.lit(1).alias("one__"), *[F.col(f"`{c}`") for c in keep]).alias("own__")
+    way = _beside_sent if (size["b"] or 0) <= BROADCAST_BYTES else _beside_shuffled
+    out = way(docs, prints, F.col(f"`{text_col}`"), own, window, bool(size["short"]))
     start = F.struct(F.lit(0).alias("upto"), F.lit(0).cast("long").alias("n"))
     covered = F.aggregate("spans", start, lambda a, x: F.struct(F.greatest(a["upto"], x["e"]).alias("upto"), (a["n"] + F.greatest(F.lit(0), x["e"] - F.greatest(a["upto"], x["s"]))).alias("n")))
     return out.select(*[F.col("own__")[c].alias(c) for c in keep], "n_words", covered["n"].alias("n_hit"), "spans", "items")

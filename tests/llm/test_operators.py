@@ -55,7 +55,9 @@ def brute_hits(text, items, window=13):
     return len(w), len(hit), sorted(found)
 
 
-def test_decontamination_is_exact(spark):
+@pytest.mark.parametrize("limit", [64 << 20, -1])
+def test_decontamination_is_exact(spark, limit, monkeypatch):
+    monkeypatch.setattr(decontaminate, "BROADCAST_BYTES", limit)
     r = random.Random(4)
     vocab = ["a", "b", "c", "dd", "é"]
     item = lambda n: " ".join(r.choice(vocab) for _ in range(n))
@@ -83,6 +85,17 @@ def test_windows_and_both_joins(spark, window, monkeypatch):
             assert (x["n_words"], x["n_hit"], x["items"]) == brute_hits(texts[x["doc_id"]], items, window)
 
 
+def test_no_words_are_shuffled_with_fingerprints(spark, monkeypatch):
+    monkeypatch.setattr(decontaminate, "BROADCAST_BYTES", -1)
+    text = prose(8, 400)
+    docs, bench = frame(spark, [text] * 30 + [prose(9, 50), None], extra=False), spark.createDataFrame([(1, " ".join(text.split()[100:130]))], "item_id bigint, text string")
+    out = decontaminate.contamination(docs, bench, keep=["doc_id"])
+    plan = out._jdf.queryExecution().explainString(out._sc._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
+    moved = re.findall(r"\) Exchange\nInput \[\d+\]: \[(.*?)\]", plan)
+    assert moved and not any("ws#" in x for x in moved)
+    assert sorted(x["n_hit"] for x in out.collect()) == [0, 0] + [30] * 30
+
+
 def test_decontamination_of_nothing(spark):
     bench = spark.createDataFrame([], "item_id bigint, text string")
     docs = frame(spark, ["a b c", None])
