@@ -173,3 +173,36 @@ def test_compared_method_is_timed_on_all_trips(spark, monkeypatch):
     monkeypatch.setattr(workloads.ngram, "ngram_perturb", lambda trips, *a, **k: seen.append(trips.count()) or trips)
     workloads.component_times(spark, "/root/testdata/sf0.01", n=3)
     assert seen == [workloads._trips(spark, "/root/testdata/sf0.01", "order_walk", 3)[0].count()] and seen[0] > 2000
+
+
+def test_trips_perturbed_together_are_those_perturbed_alone(spark, monkeypatch):
+    r = np.random.default_rng(4)
+    monkeypatch.setattr(ngram, "BLOCK", 4000)
+    monkeypatch.setattr(ngram, "TABLE", 1000)
+    g = Grid(4, 0.0, 8.0, 0.0, 4.0)
+    know = ngram.Knowledge(np.arange(16) % 3, np.arange(16) // 8, np.array([[h % 3 != k for h in range(24)] for k in range(3)]))
+    rows = [(k, [int(c) for c in r.integers(0, 16, r.integers(0, 9))] if k % 50 else None, int(r.integers(0, 24))) for k in range(400)]
+    t = spark.createDataFrame(rows, "traj_id bigint, cells array<int>, hour int").coalesce(1)
+    for n, k in ((1, None), (2, None), (3, None), (2, know)):
+        alone = ngram.Perturber(g, 5.0, n, k)
+        got = {x["traj_id"]: (x["cells"], x["n_cells"]) for x in ngram.ngram_perturb(t, g, 5.0, n, 3, k).collect()}
+        want = {i: (alone.perturb(i, np.array(c), 3, h).tolist(), len(c)) if c else ([], 0) for i, c, h in rows}
+        assert got == want
+    secret = b"s" * 32
+    alone, ids = ngram.Perturber(g, 5.0, 2), np.arange(30)
+    many = alone.perturb_many(ids, np.tile([0, 1, 6], (30, 1)), secret)
+    assert [alone.perturb(int(i), np.array([0, 1, 6]), secret).tolist() for i in ids] == many.tolist()
+
+
+def test_trips_are_perturbed_a_batch_at_a_time():
+    import time
+
+    g = Grid(6, 0.0, 6.0, 0.0, 6.0)
+    w, cells = ngram.Perturber(g, 1.0, 2), np.random.default_rng(1).integers(0, 36, (2000, 8))
+    t = time.thread_time()
+    w.perturb_many(np.arange(2000), cells, 1)
+    many = time.thread_time() - t
+    t = time.thread_time()
+    for k in range(200):
+        w.perturb(k, cells[k], 1)
+    assert many < time.thread_time() - t  # ten times as many
