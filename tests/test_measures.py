@@ -206,3 +206,31 @@ def test_trips_are_perturbed_a_batch_at_a_time():
     for k in range(200):
         w.perturb(k, cells[k], 1)
     assert many < time.thread_time() - t  # ten times as many
+
+
+def test_measures_of_a_tally_are_those_of_the_frames(spark, monkeypatch):
+    r = np.random.default_rng(6)
+    for g in (Grid(4, 0.0, 4.0, 0.0, 9.0), Grid(3, -1.0, -1.0, 0.0, 2.0)):
+        def some(n, skew, g=g):
+            return trips(spark, [[int(c * skew) % g.cells for c in r.integers(0, g.cells, r.integers(1, 9))] for _ in range(n)])
+
+        real = some(300, 1.0)
+        for syn in (some(200, 0.7), real, trips(spark, [[g.cells - 1]] * 3)):
+            want = {x["metric"]: x["value"] for x in metrics.evaluate_all(real, syn, g).collect()}
+            got = metrics.measures(metrics.tallied(real, g), metrics.tallied(syn, g), g, metrics.range_queries(spark, g).collect())
+            assert list(got) == list(want) and all(abs(got[k] - want[k]) < 1e-9 for k in want), (got, want)
+    # two touching rows of one trip, merged within a task
+    monkeypatch.setattr(metrics, "MAX_TALLY", 3)
+    assert metrics.tallied(real, g) is None
+
+
+def test_experiments_take_one_pass_a_set(spark, sf, monkeypatch):
+    from mobility_ldp.plans import workloads
+
+    monkeypatch.setattr(metrics, "evaluate_all", None)
+    t = workloads.ablation(spark, sf, ("customer_walk",), n=3)
+    assert t.count() == 45
+    monkeypatch.undo()
+    monkeypatch.setattr(metrics, "MAX_TALLY", 3)  # the way of large tallies
+    slow = {(x["variant"], x["metric"]): x["value"] for x in workloads.ablation(spark, sf, ("customer_walk",), n=3).collect()}
+    assert all(abs(slow[x["variant"], x["metric"]] - x["value"]) < 1e-9 for x in t.collect())
