@@ -234,3 +234,28 @@ def test_experiments_take_one_pass_a_set(spark, sf, monkeypatch):
     monkeypatch.setattr(metrics, "MAX_TALLY", 3)  # the way of large tallies
     slow = {(x["variant"], x["metric"]): x["value"] for x in workloads.ablation(spark, sf, ("customer_walk",), n=3).collect()}
     assert all(abs(slow[x["variant"], x["metric"]] - x["value"]) < 1e-9 for x in t.collect())
+
+
+def test_warping_of_many_walks_and_their_tasks(spark, monkeypatch):
+    r = np.random.default_rng(8)
+    centres = np.array([G.centre(c) for c in range(36)])
+
+    def plain(a, b):
+        d = np.full((len(a) + 1, len(b) + 1), np.inf)
+        d[0, 0] = 0.0
+        for i in range(1, len(a) + 1):
+            for j in range(1, len(b) + 1):
+                d[i, j] = np.linalg.norm(centres[a[i - 1]] - centres[b[j - 1]]) + min(d[i - 1, j], d[i - 1, j - 1], d[i, j - 1])
+        return d[-1, -1]
+
+    walks = [[int(c) for c in r.integers(0, 36, r.integers(1, 7))] for _ in range(40)]
+    known, size = attacks._padded(walks)
+    for a in walks[:5]:
+        assert np.allclose(attacks.dtw_many(np.array(a), known, size, centres), [plain(a, b) for b in walks])
+    seen = []
+    real = attacks.zone_walks
+    monkeypatch.setattr(attacks, "zone_walks", lambda *a: seen.append(real(*a)) or seen[-1])
+    t = trips(spark, [[14, 15, 20][: 1 + k % 3] for k in range(30)])
+    out = attacks.reidentification(t, t, G)
+    assert sum(x["n"] for x in out.collect()) == 30
+    assert "RepartitionByExpression" in out._jdf.queryExecution().toString() or "REPARTITION" in out._jdf.queryExecution().toString()
