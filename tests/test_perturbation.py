@@ -165,3 +165,29 @@ def test_knowledge_keeps_its_promise():
     plain = ngram.Perturber(g, 1.0, 2)
     p = np.array([plain.chances(np.array(x), 1.5, 8) for x in plain.grams[2]])
     assert (p.max(0) / p.min(0)).max() <= np.exp(1.5) + 1e-9
+
+
+def test_streams_draw_the_bits_of_long_reports(monkeypatch):
+    eps, d, each, n = 0.05, 150, 60, 400
+    keys, items = rng.keyed(2, np.arange(n)), np.full((n, each), -1)
+    items[:, 0] = 7
+    got = oue.streamed(keys, items, d, eps)
+    q, size = oue.q_of(eps), n * each
+    z = (np.delete(got, 7) - size * q) / (size * q * (1 - q)) ** 0.5
+    assert abs(z.mean()) < 4 / d**0.5 and 0.75 < z.std() < 1.25 and abs(got[7] - (size - n) * q - n / 2) < 4 * size**0.5 / 2
+    # one trip at a time, and with so few gaps foreseen that most trips need more
+    parts = sum(oue.streamed(keys[k : k + 1], items[k : k + 1], d, eps) for k in range(n))
+    monkeypatch.setattr(oue.math, "sqrt", lambda x: 0.0)
+    few = oue.streamed(keys, items, d, eps)
+    assert (parts == got).all() and (few == got).all()
+
+
+def test_trips_of_experiments_are_dealt_over_all_cores(spark, sf):
+    trips, _ = workloads._trips(spark, sf, "order_walk", 3)
+    assert trips.rdd.getNumPartitions() >= 2 * spark.sparkContext.defaultParallelism
+    trips.unpersist()
+
+
+def test_lambda_sweep_equals_its_side(spark, sf):
+    rows = workloads.lambda_sweep(spark, sf, lams=(0.5, 2.5)).collect()
+    assert rows[1]["query_error"] == workloads.side_sweep(spark, sf, sides=(rows[1]["n"],), eps=1.0, methods=("synthesizer",)).first()["query_error"]
