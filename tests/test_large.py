@@ -4,7 +4,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from mobility_ldp.functions import rng
-from mobility_ldp.operators import attacks, metrics, oue, trajectory
+from mobility_ldp.operators import attacks, metrics, models, oue, trajectory
 from mobility_ldp.operators.grid import Grid, make_grid
 from mobility_ldp.plans import workloads
 from mobility_ldp.sources import walks
@@ -94,3 +94,47 @@ def test_summed_reports_have_the_law_of_their_bits():
     assert ((seen - want)[want > 5] ** 2 / want[want > 5]).sum() < 40
     exact = np.array([sum(float(np.prod([(each - i) / (i + 1) for i in range(j)])) * 0.3**j * 0.7 ** (each - j) for j in range(k + 1)) for k in range(each)])
     assert np.allclose(oue._cdf(each, 0.3), exact, atol=1e-13)
+
+
+def test_parts_of_cells_are_those_of_the_hashed_column(spark):
+    r = np.random.default_rng(6)
+    rows = [(int(r.integers(-(1 << 62), 1 << 62)), r.integers(0, 36, r.integers(0, 40)).tolist()) for _ in range(200)]
+    t = spark.createDataFrame(rows, "traj_id long, cells array<int>")
+    for ids in (t, t.withColumn("traj_id", (F.col("traj_id") % 100_000).cast("int")), t.withColumn("traj_id", F.col("traj_id").cast("string"))):
+        for sub in (1, 8):
+            part = lambda axis: F.floor(rng.u01(7, F.col("traj_id"), F.col("pos"), axis, engine="xx") * sub)  # noqa: B023, E731
+            p = ids.select("traj_id", F.posexplode("cells").alias("pos", "cell"))
+            want = p.select("cell", part("x").alias("a"), part("y").alias("b")).groupBy("cell", "a", "b").agg(F.count("*").alias("n")).collect()
+            at = lambda c, k, size: (c + (k + 0.5) / sub) * size  # noqa: B023, E731
+            want = sorted((at(c % 6, a, 1.0), at(c // 6, b, 0.5), n) for c, a, b, n in want)
+            got = sorted(map(tuple, metrics.spots(ids, G, "uniform", 7, sub).collect()))
+            assert np.allclose(got, want, atol=1e-12)
+    # the real set's may be kept
+    a = metrics.query_error(t, t.limit(50), G, points="uniform", seed=7).first()["value"]
+    assert a == metrics.query_error(t, t.limit(50), G, points="uniform", seed=7, known=metrics.spots(t, G, "uniform", 7)).first()["value"]
+
+
+def test_moves_of_a_batch_are_those_of_the_column(spark, sf):
+    p = walks.order_walk(spark, sf)
+    g = make_grid(p, 5)
+    t = trajectory.assemble(p, g).unionByName(spark.createDataFrame([(-1, [3], 1), (-2, [], 0), (-3, [0, 24, 18, 18, 0, 1], 6)], "traj_id long, cells array<int>, n_cells int"))
+    for l_k in (1, 4, 30):
+        want = {r[0]: r[1] for r in t.select("traj_id", F.filter(models.kept_moves(models.state_items(g), l_k), lambda x: x >= 0)).collect()}
+        table = t.select("traj_id", "cells").toArrow().combine_chunks()
+        got = models.Moves(g, l_k)(table.column("cells").chunk(0)).to_pylist()
+        assert dict(zip(table.column("traj_id").to_pylist(), got, strict=True)) == want
+        col = F.filter(models.kept_moves(models.state_items(g), l_k), lambda x: x >= 0)
+        by = lambda items: sorted(map(tuple, oue.fused(t, [("intra", items, l_k, g.states, 0.1)], 3).collect()))  # noqa: B023, E731
+        assert by(col) == by((F.col("cells"), models.Moves(g, l_k)))
+
+
+def test_sweeps_read_and_order_the_points_once(spark, sf, monkeypatch):
+    asked, real = [], trajectory.gathered
+    monkeypatch.setattr(trajectory, "gathered", lambda p: asked.append(1) or real(p))
+    rows = workloads.side_sweep(spark, sf, sides=(2, 3), methods=("ngram",)).collect()
+    assert len(rows) == 2 and len(asked) == 1
+    monkeypatch.undo()
+    for r in rows:
+        trips, grid = workloads._trips(spark, sf, "order_walk", r["n"])
+        syn = workloads.published(spark, trips, grid, "ngram", 50.0, 1)
+        assert metrics.query_error(trips, syn, grid, points="uniform", seed=7).first()["value"] == r["query_error"]
