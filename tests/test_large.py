@@ -4,7 +4,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from mobility_ldp.functions import rng
-from mobility_ldp.operators import attacks, metrics, models, oue, trajectory
+from mobility_ldp.operators import attacks, metrics, models, ngram, oue, trajectory
 from mobility_ldp.operators.grid import Grid, make_grid
 from mobility_ldp.plans import workloads
 from mobility_ldp.sources import walks
@@ -138,3 +138,18 @@ def test_sweeps_read_and_order_the_points_once(spark, sf, monkeypatch):
         trips, grid = workloads._trips(spark, sf, "order_walk", r["n"])
         syn = workloads.published(spark, trips, grid, "ngram", 50.0, 1)
         assert metrics.query_error(trips, syn, grid, points="uniform", seed=7).first()["value"] == r["query_error"]
+
+
+def test_pairs_and_ways_of_many_trips_are_those_of_one_by_one(monkeypatch):
+    r = np.random.default_rng(1)
+    for n, m, eps in ((12, 18, 50.0), (6, 10, 1.0), (2, 4, 50.0), (12, 1, 50.0), (3, 2, 5.0)):
+        g = Grid(n, 0.0, 50.0, 0.0, 100.0)
+        w, cells = ngram.Perturber(g, eps), r.integers(0, n * n, (40, m))
+        ids, asked = np.arange(40) * 7 + 3, []
+        real = w.tables
+        monkeypatch.setattr(w, "tables", lambda rows, *a: asked.append(rows.shape[1]) or real(rows, *a))  # noqa: B023
+        got = w.perturb_many(ids, cells, 5)
+        assert all((w.perturb(int(k), c, 5) == x).all() for k, c, x in zip(ids, cells, got, strict=True))
+        assert set(asked) <= {1}  # no table over all pairs
+    # least ways where all costs are alike: the same of several
+    assert (w.rebuild_many(np.zeros((5, 9, 3))) == w.rebuild(np.zeros((5, 9)))).all()
